@@ -47,7 +47,7 @@ WITH d AS (
   FROM counts
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  NOT (base_failed OR 10 * n_symbols > n_words OR word_chars < 2 * n_words OR word_chars > 15 * n_words OR 10 * n_dup_lines > 3 * len(lines)
+  NOT (base_failed OR 4 * n_symbols > n_words OR word_chars < 2 * n_words OR word_chars > 15 * n_words OR 2 * n_dup_lines > len(lines)
     OR 5 * shouts > n_words OR 10 * letters < 6 * word_chars OR 2 * capitals > letters) AS kept
 FROM judged
 """

@@ -78,9 +78,9 @@ def default_rules(text_col: str = "text") -> list[Rule]:
     lines = F.size(_nonblank_lines(text))
     shouts = F.length(text) - F.length(F.translate(text, "!?", ""))
     return [
-        Rule("symbols", 10 * F.col("n_symbols") > n),
+        Rule("symbols", 4 * F.col("n_symbols") > n),
         Rule("word_length", (F.col("word_chars") < 2 * n) | (F.col("word_chars") > 15 * n)),
-        Rule("repeated_lines", 10 * F.col("n_dup_lines") > 3 * lines),
+        Rule("repeated_lines", 2 * F.col("n_dup_lines") > lines),
         Rule("shouting", 5 * shouts > n),
         Rule("few_letters", 10 * letters < 6 * F.col("word_chars")),
         Rule("capitals", 2 * capitals > letters),
