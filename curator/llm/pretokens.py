@@ -1,18 +1,30 @@
-"""Encoding of text through its distinct white-space-delimited pre-tokens.
+"""Encoding of text through its distinct pre-tokens.
 
-The word-BPE files split text at white space before anything else and treat each part by itself, so the library's result for a text is the
-concatenation of its results for the parts.  The library sees each distinct part once per memo; the memo is
-emptied when it is full, which costs time but never changes a result.
+The word-BPE file lower-cases, drops white space and cuts a text into pre-tokens before it looks at any merge, and
+treats each pre-token by itself; so the library's result for a text is the concatenation of its results for the
+pre-tokens, and the library is asked once per distinct one.  Latin text is cut here by the file's own pattern.  A text with any
+other character, or with something like a special token, is cut at ASCII white space alone and the library does the rest.
+The memo is emptied when it is full, which costs time but never changes a result.
 """
 
 from __future__ import annotations
 
 import os
-from collections.abc import Callable, Iterator
+import re
+from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
 
-MEMO_ENTRIES = 200_000
-BLOCK_BYTES = 1 << 20
+import numpy as np
+
+MEMO_ENTRIES = 400_000
+BLOCK_CHARS = 1 << 20
+#: Pre-tokens that the library gets as one text.
+JOINED = 512
+
+#: Letters, numbers and white space among the characters that the short way handles, in lower case.
+_LETTER, _NUMBER, _SPACE = "a-zªµºß-öø-žſ", "0-9²³¹¼½¾", "\t-\r \x85\xa0"
+_CUT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_NUMBER}]|[^{_SPACE}{_LETTER}{_NUMBER}]+")
+_OTHER = re.compile("[^\x00-įı-ſ]|<\\|")
 
 
 @lru_cache(maxsize=4)
@@ -26,28 +38,51 @@ def tokenizer(path: str):
     return found
 
 
-def blocks(raw: bytes) -> Iterator[list[bytes]]:
-    """The parts of a text, in blocks of about a megabyte cut at white space."""
-    at, end = 0, len(raw)
-    while end - at > BLOCK_BYTES:
-        cut = raw.rfind(b" ", at, at + BLOCK_BYTES)
-        cut = cut if cut > at else raw.find(b" ", at + BLOCK_BYTES)
-        if cut < 0:
-            break
-        yield raw[at:cut].split()
+@lru_cache(maxsize=4)
+def _ends(path: str) -> np.ndarray:
+    """Whether an id ends a pre-token."""
+    words = tokenizer(path).get_vocab(with_added_tokens=True)
+    flags = np.zeros(max(words.values()) + 1, bool)
+    flags[[i for w, i in words.items() if w.endswith("</w>")]] = True
+    return flags
+
+
+def blocks(text: str) -> Iterator[tuple[list[str], bool]]:
+    """The parts of a text in blocks of about a million characters, and whether they are pre-tokens rather than white-space words."""
+    at, end = 0, len(text)
+    while at < end:
+        cut = end
+        if end - at > BLOCK_CHARS:
+            cut = text.rfind(" ", at, at + BLOCK_CHARS)
+            cut = cut if cut > at else text.find(" ", at + BLOCK_CHARS)
+            cut = cut if cut > 0 else end
+        block = text[at:cut]
         at = cut
-    yield raw[at:].split()
+        if _OTHER.search(block):
+            yield [w.decode("utf-8") for w in block.encode("utf-8").split()], False
+        else:
+            yield _CUT.findall(block.lower()), True
 
 
 class PretokenMemo(dict):
-    """Maps a part to ``make(encoding)``; parts must be looked up with ``learn`` first."""
+    """Maps a part to ``make(ids)``, ids being an array; parts must be given to ``learn`` before they are looked up."""
 
     def __init__(self, path: str, make: Callable) -> None:
-        self.path, self.make = path, make
+        self.lib, self.ends, self.make = tokenizer(path), _ends(path), make
 
-    def learn(self, parts) -> None:
+    def learn(self, parts: Iterable[str], whole: bool) -> None:
         if len(self) > MEMO_ENTRIES:
             self.clear()
-        if new := [p for p in set(parts) if p not in self]:
-            found = tokenizer(self.path).encode_batch([p.decode("utf-8") for p in new], add_special_tokens=False)
-            self.update(zip(new, map(self.make, found), strict=True))
+        new = [p for p in set(parts) if p not in self]
+        if not new:
+            return
+        if whole:
+            texts = [" ".join(new[i : i + JOINED]) for i in range(0, len(new), JOINED)]
+            ids = np.concatenate([np.array(e.ids, np.uint32) for e in self.lib.encode_batch_fast(texts, add_special_tokens=False)])
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            if len(cuts) == len(new):
+                cuts = cuts.tolist()
+                self.update(zip(new, [self.make(ids[a:b]) for a, b in zip([0, *cuts], cuts, strict=False)], strict=True))
+                return
+        for part, found in zip(new, self.lib.encode_batch_fast(new, add_special_tokens=False), strict=True):
+            self[part] = self.make(np.array(found.ids, np.uint32))

@@ -82,7 +82,7 @@ def write_records(docs: DataFrame, path: str, model_path: str, end_id: int = 1,
         from pyspark import TaskContext
 
         shard = TaskContext.get().partitionId()
-        memo = PretokenMemo(model_path, lambda e: np.array(e.ids, kind).tobytes())
+        memo = PretokenMemo(model_path, lambda ids: ids.astype(kind).tobytes())
         end, width = np.array([end_id], kind).tobytes(), np.dtype(kind).itemsize
         store, root = _filesystem(path)
         store.create_dir(f"{root}/shards", recursive=True)
@@ -93,8 +93,8 @@ def write_records(docs: DataFrame, path: str, model_path: str, end_id: int = 1,
                 rows = []
                 for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                     made = []
-                    for parts in blocks(text.as_py().encode("utf-8")):
-                        memo.learn(parts)
+                    for parts, whole in blocks(text.as_py()):
+                        memo.learn(parts, whole)
                         made += map(memo.__getitem__, parts)
                     payload = b"".join([*made, end])
                     record = frame(payload)

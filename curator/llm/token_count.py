@@ -29,9 +29,9 @@ def _pieces_counter(path: str):
 
     def count(text: str) -> int:
         total = 0
-        for parts in blocks(text.encode("utf-8")):
+        for parts, whole in blocks(text):
             frequency = Counter(parts)
-            memo.learn(frequency)
+            memo.learn(frequency, whole)
             total += sum(memo[p] * n for p, n in frequency.items())
         return total
 
@@ -43,7 +43,7 @@ def count_tokens(docs: DataFrame, model_path: str, limit: int = 2048, text_col:
 
     Counts are those of the library for the file: tokenizers for ``.json`` (special strings inside a text count as the library's default has it),
     sentencepiece for ``.model``; no begin, end, truncation or padding.  Null counts as empty: zero bytes and tokens.
-    The JSON file must split at white space, as the word-BPE file does.
+    A JSON file must cut texts as the word-BPE file does.
     Repeated rows stay; columns that bear an added column's name are replaced.
     """
     kept = [c for c in docs.columns if c != text_col and c.lower() not in ("n_bytes", "n_tokens", "over_limit")]
