@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from curator.plans import methods, relational, workloads
 
-QUERIES: dict[str, Callable] = {}
-ORACLES: dict[str, str] = {}
+QUERIES = methods.QUERIES | workloads.QUERIES | relational.QUERIES
+ORACLES = methods.ORACLES | workloads.ORACLES | relational.ORACLES
