@@ -4,7 +4,7 @@ The word-BPE file lower-cases, drops white space and cuts a text into pre-tokens
 treats each pre-token by itself; so the library's result for a text is the concatenation of its results for the
 pre-tokens, and the library is asked once per distinct one.  Latin text is cut here by the file's own pattern.  A text with any
 other character, or with something like a special token, is cut at ASCII white space alone and the library does the rest.
-The memo is emptied when it is full, which costs time but never changes a result.
+The memo is bounded and outlives a task in its worker; what it forgets costs time but never changes a result.
 """
 
 from __future__ import annotations
@@ -16,7 +16,8 @@ from functools import lru_cache
 
 import numpy as np
 
-MEMO_ENTRIES = 400_000
+#: Entries of each of a memo's two generations.
+MEMO_ENTRIES = 300_000
 BLOCK_CHARS = 1 << 20
 #: Pre-tokens that the library gets as one text.
 JOINED = 512
@@ -64,16 +65,38 @@ def blocks(text: str) -> Iterator[tuple[list[str], bool]]:
             yield _CUT.findall(block.lower()), True
 
 
-class PretokenMemo(dict):
+class Generations(dict):
+    """A bounded memo: when it is full it becomes the old generation, from which what is asked for again comes back."""
+
+    def __init__(self, entries: int = MEMO_ENTRIES) -> None:
+        self.entries, self.old = entries, {}
+
+    def missing(self, parts: Iterable) -> list:
+        """Parts that are in neither generation; all others can be looked up afterwards."""
+        if len(self) > self.entries:
+            self.old = dict(self)
+            self.clear()
+        new = [p for p in set(parts) if p not in self]
+        if not self.old:
+            return new
+        out = []
+        for p in new:
+            if (kept := self.old.get(p)) is None:
+                out.append(p)
+            else:
+                self[p] = kept
+        return out
+
+
+class PretokenMemo(Generations):
     """Maps a part to ``make(ids)``, ids being an array; parts must be given to ``learn`` before they are looked up."""
 
     def __init__(self, path: str, make: Callable) -> None:
+        super().__init__()
         self.lib, self.ends, self.make = tokenizer(path), _ends(path), make
 
     def learn(self, parts: Iterable[str], whole: bool) -> None:
-        if len(self) > MEMO_ENTRIES:
-            self.clear()
-        new = [p for p in set(parts) if p not in self]
+        new = self.missing(parts)
         if not new:
             return
         if whole:
@@ -86,3 +109,51 @@ class PretokenMemo(dict):
                 return
         for part, found in zip(new, self.lib.encode_batch_fast(new, add_special_tokens=False), strict=True):
             self[part] = self.make(np.array(found.ids, np.uint32))
+
+    def values(self, parts: list[str], whole: bool) -> list:
+        """The value of every part, in order."""
+        got = list(map(self.get, parts))
+        if None in got:
+            lost = [i for i, v in enumerate(got) if v is None]
+            self.learn([parts[i] for i in lost], whole)
+            for i in lost:
+                got[i] = self[parts[i]]
+        return got
+
+    def values_of(self, texts: list[str]) -> list[list]:
+        """The values of every text's parts; parts of several texts are looked up together."""
+        cut = [(n, parts, whole) for n, text in enumerate(texts) for parts, whole in blocks(text)]
+        found: list = [None] * len(cut)
+        for kind in (True, False):
+            own = [(i, parts) for i, (_, parts, whole) in enumerate(cut) if whole is kind]
+            got, at = self.values([p for _, parts in own for p in parts], kind), 0
+            for i, parts in own:
+                found[i] = got[at : at + len(parts)]
+                at += len(parts)
+        out: list[list] = [[] for _ in texts]
+        for (n, _, _), got in zip(cut, found, strict=True):
+            out[n] += got
+        return out
+
+
+def strides(texts: Iterable[str], chars: int = 1 << 19) -> Iterator[list[str]]:
+    """Groups of texts of about ``chars`` characters together; a longer text is a group of its own."""
+    held, size = [], 0
+    for text in texts:
+        held.append(text)
+        size += len(text)
+        if size > chars:
+            yield held
+            held, size = [], 0
+    if held:
+        yield held
+
+
+@lru_cache(maxsize=2)
+def length_memo(path: str) -> PretokenMemo:
+    return PretokenMemo(path, len)
+
+
+@lru_cache(maxsize=2)
+def bytes_memo(path: str, kind: str) -> PretokenMemo:
+    return PretokenMemo(path, lambda ids: ids.astype(kind).tobytes())

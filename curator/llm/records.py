@@ -19,13 +19,14 @@ import struct
 import uuid
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .pretokens import PretokenMemo, blocks, tokenizer
+from .pretokens import bytes_memo, strides, tokenizer
 from .scratch import fresh_path
 
 #: Fixed values of the format.
@@ -82,7 +83,7 @@ def write_records(docs: DataFrame, path: str, model_path: str, end_id: int = 1,
         from pyspark import TaskContext
 
         shard = TaskContext.get().partitionId()
-        memo = PretokenMemo(model_path, lambda ids: ids.astype(kind).tobytes())
+        memo = bytes_memo(model_path, kind)
         end, width = np.array([end_id], kind).tobytes(), np.dtype(kind).itemsize
         store, root = _filesystem(path)
         store.create_dir(f"{root}/shards", recursive=True)
@@ -91,11 +92,8 @@ def write_records(docs: DataFrame, path: str, model_path: str, end_id: int = 1,
         try:
             for batch in batches:
                 rows = []
-                for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                    made = []
-                    for parts, whole in blocks(text.as_py()):
-                        memo.learn(parts, whole)
-                        made += map(memo.__getitem__, parts)
+                encoded = chain.from_iterable(memo.values_of(g) for g in strides(t.as_py() for t in batch.column(1)))
+                for doc, made in zip(batch.column(0).to_pylist(), encoded, strict=True):
                     payload = b"".join([*made, end])
                     record = frame(payload)
                     sink = sink or store.open_output_stream(f"{root}/{name}")

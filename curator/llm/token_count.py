@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .pretokens import PretokenMemo, blocks
+from .pretokens import blocks, length_memo
 
 
 def _sentencepiece_counter(path: str):
@@ -25,7 +25,7 @@ def _sentencepiece_counter(path: str):
 
 
 def _pieces_counter(path: str):
-    memo = PretokenMemo(path, len)
+    memo = length_memo(path)
 
     def count(text: str) -> int:
         total = 0
