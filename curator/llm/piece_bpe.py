@@ -13,16 +13,20 @@ import heapq
 import re
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, IntegerType
+
+from .pretokens import Generations, strides
 
 META = "▁"
 #: Parts of more symbols than this take the priority queue, whose work is n log n.
 LONG_PART = 48
-MEMO_ENTRIES = 150_000
+MEMO_ENTRIES = 200_000
 #: Characters of text that are looked through for new parts at a time.
 STRIDE = 1 << 19
 _SHIFT = np.int64(22)
@@ -41,6 +45,7 @@ class PieceModel:
         if any(model.is_unused(i) for i in range(size)) or not all(re.fullmatch(f"{META}*[^{META}]*", p) for p in usable):
             raise ValueError("this model has pieces that parts of a text cannot be encoded by alone")
         self.size, self.end = size, model.eos_id()
+        self.decimals = [b"%d" % i for i in range(size)]
         self.byte = np.array([model.piece_to_id(f"<0x{b:02X}>") for b in range(256)])
         # Symbols: piece ids, and size + code point for characters that are no piece.
         self.char = np.arange(size, size + 0x110000, dtype=np.int64)
@@ -61,13 +66,14 @@ class PieceModel:
         self.ranks = np.array([pairs[k][0] for k in self.keys.tolist()], np.int32)
         self.merged = np.array([pairs[k][1] for k in self.keys.tolist()], np.int64)
 
-    def ids_of(self, symbols: list[int]) -> list[int]:
-        if all(s < self.size for s in symbols):
-            return symbols
+    def packed(self, symbols: np.ndarray) -> bytes:
+        """Ids of symbols as 32-bit integers; a character that is no piece becomes its bytes."""
+        if not len(symbols) or symbols.max() < self.size:
+            return symbols.astype("<i4").tobytes()
         out: list[int] = []
-        for s in symbols:
+        for s in symbols.tolist():
             out += [s] if s < self.size else self.byte[list(chr(s - self.size).encode("utf-8"))].tolist()
-        return out
+        return np.array(out, "<i4").tobytes()
 
     def _look(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         key = (left << _SHIFT) | right
@@ -75,7 +81,7 @@ class PieceModel:
         hit = self.keys[at] == key
         return np.where(hit, self.ranks[at], _NONE), at
 
-    def _queue(self, part: str) -> list[int]:
+    def _queue(self, part: str) -> np.ndarray:
         """One long part by a priority queue: best rank first, then leftmost."""
         symbols = self.char[np.frombuffer(part.encode("utf-32-le"), "<u4")].tolist()
         ahead, behind = list(range(1, len(symbols) + 1)), list(range(-1, len(symbols) - 1))
@@ -98,19 +104,19 @@ class PieceModel:
                 behind[ahead[i]] = i
             offer(behind[i], i)
             offer(i, ahead[i])
-        return [s for s in symbols if s >= 0]
+        return np.array([s for s in symbols if s >= 0], np.int64)
 
-    def encode_parts(self, parts: list[str]) -> list[list[int]]:
-        """Ids of each part."""
+    def encode_parts(self, parts: list[str]) -> list[bytes]:
+        """Ids of each part as 32-bit integers."""
         out: list = [None] * len(parts)
         short = []
         for n, part in enumerate(parts):
             if len(part) > LONG_PART:
-                out[n] = self.ids_of(self._queue(part))
+                out[n] = self.packed(self._queue(part))
             elif part:
                 short.append(n)
             else:
-                out[n] = []
+                out[n] = b""
         if not short:
             return out
         flat = self.char[np.frombuffer("".join([parts[n] for n in short]).encode("utf-32-le"), "<u4")]
@@ -125,9 +131,11 @@ class PieceModel:
             best = np.minimum.reduceat(rank, starts)
             going = best < _NONE
             if not going.all():
-                for n, a, b in zip(names[~going].tolist(), starts[~going].tolist(), ends[~going].tolist(), strict=True):
-                    out[n] = self.ids_of(flat[a : b + 1].tolist())
                 stay = np.repeat(going, sizes)
+                done, stops = flat[~stay], np.cumsum(sizes[~going]).tolist()
+                plain = self.packed(done) if done.max() < self.size else None
+                for n, a, b in zip(names[~going].tolist(), [0, *stops], stops, strict=False):
+                    out[n] = self.packed(done[a:b]) if plain is None else plain[4 * a : 4 * b]
                 flat, rank, at, names, sizes, best = flat[stay], rank[stay], at[stay], names[going], sizes[going], best[going]
                 if not len(names):
                     break
@@ -167,43 +175,34 @@ def load(path: str) -> PieceModel:
 
 
 class Codec:
-    """Encodes and decodes whole texts with a memo of distinct parts."""
+    """Encodes and decodes whole texts with a bounded memo of distinct parts."""
 
     def __init__(self, path: str) -> None:
-        self.model, self.memo = load(path), {}
+        self.model, self.memo = load(path), Generations(MEMO_ENTRIES)
 
     def learn(self, lists: list[list[str]]) -> None:
-        if len(self.memo) > MEMO_ENTRIES:
-            self.memo.clear()
-        new = list({p for parts in lists for p in parts if p not in self.memo})
+        new = self.memo.missing(chain.from_iterable(lists))
         for part, ids in zip(new, self.model.encode_parts([p.replace(" ", META) for p in new]), strict=True):
-            self.memo[part] = (np.array(ids, "<i4").tobytes(), " ".join(map(str, ids)).encode())
+            self.memo[part] = ids
 
-    def ids(self, parts: list[str], end: bool = True) -> np.ndarray:
-        raw = b"".join([self.memo[p][0] for p in parts])
-        return np.frombuffer(raw + np.array([self.model.end], "<i4").tobytes() * end, "<i4")
+    def ids(self, parts: list[str], end: bool = True) -> list[int]:
+        found = np.frombuffer(b"".join(map(self.memo.__getitem__, parts)), "<i4").tolist()
+        return [*found, self.model.end] if end else found
 
-    def decimal(self, parts: list[str]) -> bytes:
-        return b" ".join([*(self.memo[p][1] for p in parts), b"%d" % self.model.end])
+    def decimal(self, ids: list[int]) -> bytes:
+        return b" ".join(map(self.model.decimals.__getitem__, ids))
+
+
+@lru_cache(maxsize=2)
+def shared_codec(path: str) -> Codec:
+    return Codec(path)
 
 
 def encode(texts: list[str], path: str, end: bool = True) -> list[list[int]]:
     codec = Codec(path)
     lists = [parts_of(t) for t in texts]
     codec.learn(lists)
-    return [codec.ids(parts, end).tolist() for parts in lists]
-
-
-def _strides(texts: Iterator[str]) -> Iterator[list[str]]:
-    held, size = [], 0
-    for text in texts:
-        held.append(text)
-        size += len(text)
-        if size > STRIDE:
-            yield held
-            held, size = [], 0
-    if held:
-        yield held
+    return [codec.ids(parts, end) for parts in lists]
 
 
 def encode_documents(docs: DataFrame, model_path: str, text_col: str = "text", with_ids: bool = False) -> DataFrame:
@@ -218,20 +217,20 @@ def encode_documents(docs: DataFrame, model_path: str, text_col: str = "text", w
     body = docs.select(*kept, F.coalesce(F.col(text_col), F.lit("")).alias("_body"))
     schema = body.drop("_body").schema.add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
     if with_ids:
-        schema = schema.add("ids", "array<int>").add("decoded", "string")
+        schema = schema.add("ids", ArrayType(IntegerType())).add("decoded", "string")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = Codec(model_path)
+        codec = shared_codec(model_path)
         sha = lambda data: hashlib.sha256(data).hexdigest()
         for batch in batches:
             rows = []
-            for texts in _strides(t.as_py() for t in batch.column(batch.num_columns - 1)):
+            for texts in strides((t.as_py() for t in batch.column(batch.num_columns - 1)), STRIDE):
                 lists = [parts_of(t) for t in texts]
                 codec.learn(lists)
                 for parts in lists:
                     ids = codec.ids(parts)
-                    decoded = codec.model.lib.decode(ids.tolist())
-                    rows.append((len(ids), sha(codec.decimal(parts)), sha(decoded.encode("utf-8")), *((ids, decoded) if with_ids else ())))
+                    decoded = codec.model.lib.decode(ids)
+                    rows.append((len(ids), sha(codec.decimal(ids)), sha(decoded.encode("utf-8")), *((ids, decoded) if with_ids else ())))
             columns = list(zip(*rows, strict=True)) or [()] * len(added)
             kinds = (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32()), pa.string())
             made = [pa.array(c, k) for c, k in zip(columns, kinds, strict=False)]
