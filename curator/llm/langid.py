@@ -23,7 +23,7 @@ FOLDS = 5
 UNKNOWN = "und"
 #: Letter runs are parsed in pieces of this many letters.
 RUN = 64
-MEMO_ENTRIES = 200_000
+MEMO_ENTRIES = 400_000
 #: Characters of text parsed at a time.
 STRIDE = 1 << 19
 EDGE = "\n"
@@ -143,10 +143,19 @@ class LanguageModel:
 
 
 class Judge:
+    """Verdicts of a model, with a memo of the words' phrase counts that is emptied when it is full."""
+
     def __init__(self, model: LanguageModel) -> None:
-        self.model, self.rows, self.counts = model, {}, np.zeros((0, len(model.languages)), np.int64)
+        self.model, self.rows, self.counts = model, {}, np.zeros((0, len(model.languages)), np.int32)
         self.bits = np.array([p.bits for p in model.parsers])
 
+    @classmethod
+    def of(cls, model: LanguageModel) -> Judge:
+        """The judge that goes with a model object, which a worker keeps from task to task."""
+        if not hasattr(model, "_judge"):
+            model._judge = cls(model)
+        return model._judge
+
     def learn(self, lists: list[list[str]]) -> None:
         if len(self.rows) > MEMO_ENTRIES:
             self.rows, self.counts = {}, self.counts[:0]
@@ -169,10 +178,13 @@ class Judge:
 
 def training_sample(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id") -> dict[str, list[str]]:
     """Beginnings of the ``TRAIN_DOCS`` documents with the smallest id hashes of each language, outside the held-out fold."""
-    rows = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & ~held_out(id_col)).select(
-        F.col(lang_col).alias("lang"), F.xxhash64(F.col(id_col)).alias("h"), F.col(id_col).alias("id"), F.substring(F.col(text_col), 1, TRAIN_CHARS).alias("body")
-    )
-    # Spark keeps no more than TRAIN_DOCS rows of a language in any task before the shuffle.
+    known = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & ~held_out(id_col)).withColumn("_h", F.xxhash64(F.col(id_col)))
+    # The smallest hashes of a language lie below a bound that its count gives; twice what is needed passes, whatever the size of the table.
+    bound = F.lit(False)
+    for row in known.groupBy(F.col(lang_col).alias("lang")).count().collect():
+        top = min((1 << 63) - 1, -(1 << 63) + int(min(1.0, 2 * TRAIN_DOCS / row["count"]) * (1 << 64)))
+        bound = F.when(F.col(lang_col) == row.lang, F.col("_h") <= top).otherwise(bound)
+    rows = known.filter(bound).select(F.col(lang_col).alias("lang"), F.col("_h").alias("h"), F.col(id_col).alias("id"), F.substring(F.col(text_col), 1, TRAIN_CHARS).alias("body"))
     ranked = rows.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h", "id", "body"))).filter(F.col("n") <= TRAIN_DOCS)
     samples: dict[str, list[str]] = {}
     for row in ranked.select("lang", "n", "body").orderBy("lang", "n").collect():
@@ -197,7 +209,7 @@ def identify(docs: DataFrame, model: LanguageModel, text_col: str = "text") -> D
     shared = docs.sparkSession.sparkContext.broadcast(model)  # its size is bounded by WORD_CHARS per language
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        judge = Judge(shared.value)
+        judge = Judge.of(shared.value)
         for batch in batches:
             names, scores, held, size = [], [], [], 0
 
