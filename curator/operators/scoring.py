@@ -22,7 +22,10 @@ START, UNKNOWN = "<s>", "<unk>"
 
 @dataclass
 class NGramScorer:
-    """One model of a corpus: token shares, follower shares and the size of the vocabulary."""
+    """One model of a corpus: token shares, follower shares and the size of the vocabulary.
+
+    The two count tables are persisted, as every look-up table derives from them; ``spark.catalog.clearCache()`` releases them.
+    """
 
     vocab: DataFrame  # tok, p_uni
     follow: DataFrame  # prev, tok, p_big
@@ -37,12 +40,12 @@ class NGramScorer:
     @classmethod
     def of_arrays(cls, toks: DataFrame, min_count: int = 1) -> NGramScorer:
         toks = toks.select("t").filter(F.size("t") > 0)
-        counts = toks.select(F.explode("t").alias("tok")).groupBy("tok").agg(F.count(F.lit(1)).alias("n"))
+        counts = toks.select(F.explode("t").alias("tok")).groupBy("tok").agg(F.count(F.lit(1)).alias("n")).persist()
         total = counts.agg(F.sum("n").alias("n"), F.count_if(F.col("n") >= min_count).alias("v")).first()
         vocab = counts.filter(F.col("n") >= min_count).select("tok", (F.col("n") / F.lit(max(1, total.n or 0))).alias("p_uni"))
         # Followers come from within the row, so no window over documents is needed.
         pairs = toks.select(F.explode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.col("t")).alias("prev"), F.col("t").alias("tok"))).alias("p"))
-        big = pairs.filter("p.tok is not null").groupBy("p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n"))
+        big = pairs.filter("p.tok is not null").groupBy("p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n")).persist()
         heads = big.groupBy("prev").agg(F.sum("n").alias("c"))
         follow = big.join(heads, "prev").select("prev", "tok", (F.col("n") / F.col("c")).alias("p_big"))
         return cls(vocab, follow, heads.select("prev"), total.v or 0)
