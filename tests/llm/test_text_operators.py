@@ -9,6 +9,7 @@ import zlib
 import numpy as np
 import pytest
 from harness import compare
+from pyspark.sql import functions as F
 
 import public_tokenizers as P
 from curator.llm import entries, entries_sql, langid, line_dedup, mixing, piece_bpe, quality, records, simhash, token_count, topk, url_filter
@@ -270,6 +271,33 @@ def test_line_dedup(spark, sf):
     assert odd.count() == len(ODD) + 2
 
 
+def test_line_buckets_are_decided_in_full(spark):
+    """Lines around one passage fall into large buckets: classes are the components of all similar pairs that share a bucket."""
+    rng = np.random.default_rng(5)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), 7))
+    passage, lines = [word() for _ in range(30)], []
+    for _ in range(50):
+        tail = [word() for _ in range(12)]
+        for changes in (0, 1, 2, 3):
+            own = list(tail)
+            for at in rng.choice(12, changes, replace=False):
+                own[at] = word()
+            lines.append(" ".join(passage + own))
+    rng.shuffle(lines)
+    docs = spark.createDataFrame(list(enumerate(map(str, lines))), "doc_id long, text string")
+    seen = line_dedup._occurrences(docs, "text", "doc_id").withColumn("keys", line_dedup._signature(F.col("line"))).drop("line")
+    keys = {r.doc: set(r["keys"]) for r in seen.select("doc", "keys").collect()}
+    sets = [{x[i : i + 5] for i in range(len(x) - 4)} for x in lines]
+    assert max(sum(k in own for own in keys.values()) for own in keys.values() for k in own) > 20
+    low = list(range(len(lines)))
+    links = [(i, j) for i in keys for j in range(i) if keys[i] & keys[j] and (n := len(sets[i] & sets[j])) >= 0.8 * (len(sets[i] | sets[j]))]
+    for _ in lines:
+        for i, j in links:
+            low[i] = low[j] = min(low[i], low[j])
+    got = {int(r.id) >> 31: int(r.keep) >> 31 for r in line_dedup.line_classes(docs, seen).collect()}
+    assert got == dict(enumerate(low)) and len(set(low)) < 60
+
+
 def test_line_dedup_is_native(spark, sf):
     df = line_dedup.dedup_lines(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))
     assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
