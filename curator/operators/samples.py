@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from curator.functions.expr import tokens
+from curator.functions.subwords import subword_tokens
 
 
 def build_pairs(conversations: DataFrame, context: str = "last_user") -> DataFrame:
@@ -49,8 +50,12 @@ def build_doc_pairs(documents: DataFrame, max_instr: int = 32, least: int = 8) -
     return rows.select("sample_id", F.slice("toks", F.lit(1), cut).alias("instr"), F.slice("toks", cut + 1, F.size("toks")).alias("resp"))
 
 
-def token_pairs(pairs: DataFrame, mode: str = "word") -> DataFrame:
-    """``sample_id, instr, resp`` (token arrays) of text pairs."""
+def token_pairs(pairs: DataFrame, mode: str = "word", vocab: str | None = None) -> DataFrame:
+    """``sample_id, instr, resp`` (token arrays) of text pairs; mode ``bpe`` takes the subwords of the vocabulary file ``vocab``."""
+    if mode == "bpe":
+        if vocab is None:
+            raise ValueError("mode 'bpe' needs a vocabulary file")
+        return pairs.select("sample_id", subword_tokens(F.col("instruction"), vocab).alias("instr"), subword_tokens(F.col("response"), vocab).alias("resp"))
     return pairs.select("sample_id", tokens(F.col("instruction"), mode).alias("instr"), tokens(F.col("response"), mode).alias("resp"))
 
 

@@ -23,6 +23,13 @@ def text_pairs(spark: SparkSession, d: str, context: str = "last_user") -> DataF
     return samples.build_pairs(read_table(spark, d, "conversations"), context)
 
 
+def subword_lengths(spark: SparkSession, d: str) -> DataFrame:
+    import public_tokenizers
+
+    made = samples.token_pairs(text_pairs(spark, d), "bpe", str(public_tokenizers.path("word_bpe_49k.json")))
+    return samples.sample_lengths(made).select("sample_id", "n_instr", "n_resp")
+
+
 def pairs(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:
     if data == "documents":
         return samples.build_doc_pairs(read_table(spark, d, "documents"))
@@ -180,6 +187,7 @@ QUERIES = {
     "pairs_rejected": lambda s, d: samples.rejected_pairs(read_table(s, d, "conversations")),
     "token_counts": lambda s, d: lengths(s, d).select("sample_id", "n_instr", "n_resp"),
     "token_counts_space": lambda s, d: read_table(s, d, "documents").select("doc_id", F.size(tokens(F.col("text"), "space")).alias("n")),
+    "token_counts_bpe": subword_lengths,
     "token_counts_char": lambda s, d: read_table(s, d, "documents").select("doc_id", F.size(tokens(F.col("text"), "char")).alias("n")),
     "sample_lengths": lengths,
     "vocab_counts": lambda s, d: read_table(s, d, "documents").select(F.explode(tokens(F.col("text"))).alias("tok")).groupBy("tok").agg(F.count(F.lit(1)).alias("n")).filter("n >= 20"),

@@ -118,3 +118,80 @@ def test_threshold_plan_has_no_single_task_sort_of_samples(spark):
     rows = spark.createDataFrame([(1, 0, 1.0)], "sample_id long, cluster_id int, ifd double")
     plan = select.select_stratified(rows, 40, plan="threshold")._jdf.queryExecution().optimizedPlan().toString()
     assert "Python" not in plan
+
+
+def test_subword_mode_equals_the_library(spark, sf):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = str(public_tokenizers.path("word_bpe_49k.json"))
+    lib = Tokenizer.from_file(path)
+    rows = [(1, "Sort the list, please", "def f(x): return sorted(x)"), (2, "", "é ß 漢字"), (3, None, "a" * 5000)]
+    pairs = spark.createDataFrame(rows, "sample_id long, instruction string, response string")
+    got = {r.sample_id: (r.instr, r.resp) for r in samples.token_pairs(pairs, "bpe", path).collect()}
+    assert got == {i: tuple(lib.encode(t or "", add_special_tokens=False).tokens for t in (a, b)) for i, a, b in rows}
+    with pytest.raises(ValueError, match="vocabulary"):
+        samples.token_pairs(pairs, "bpe")
+
+
+def test_micro_batches_are_packed_whole(spark, tmp_path):
+    from curator.streaming.flows import pack_micro_batches
+
+    for part in range(2):
+        rows = spark.createDataFrame([(part * 50 + i, 1 + (i * 7) % 40) for i in range(50)], "sample_id long, n_tokens int")
+        rows.coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema("sample_id long, n_tokens int").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    seen = []
+    run = pack_micro_batches(lambda packed, epoch: seen.extend((epoch, *r) for r in packing.segments(packed).select("sample_id", "length").collect()), context=64, size=16)
+    query = stream.writeStream.foreachBatch(run).option("checkpointLocation", f"{tmp_path}/state").trigger(availableNow=True).start()
+    query.awaitTermination(120)
+    assert sorted(s for _, s, _ in seen) == list(range(100)) and {e for e, _, _ in seen} == {0, 1}
+    assert all(n == 1 + (s % 50 * 7) % 40 for _, s, n in seen)
+
+
+def test_pack_buffer_emits_full_batches_and_the_rest_on_time(monkeypatch):
+    import pandas as pd
+
+    from curator.streaming.flows import PackBuffer
+
+    class State:
+        def __init__(self):
+            self.now = []
+
+        def get(self):
+            return self.now
+
+        def put(self, rows):
+            self.now = rows
+
+        def update(self, row):
+            self.now = row
+
+        def exists(self):
+            return bool(self.now)
+
+        def clear(self):
+            self.now = []
+
+    class Handle:
+        def getListState(self, *_):
+            return State()
+
+        getValueState = getListState
+
+        def registerTimer(self, at):
+            self.timer = at
+
+    class Clock:
+        def getCurrentProcessingTimeInMs(self):
+            return 1000
+
+    monkeypatch.setattr(PackBuffer, "SIZE", 4)
+    buffer, handle = PackBuffer(), Handle()
+    buffer.init(handle)
+    frame = lambda ids: pd.DataFrame({"sample_id": ids, "n_tokens": [i + 1 for i in ids]})
+    first = list(buffer.handleInputRows((7,), iter([frame([0, 1, 2]), frame([3, 4, 5])]), Clock()))
+    assert [f["sample_id"].tolist() for f in first] == [[0, 1, 2, 3]] and handle.timer == 1000 + PackBuffer.WAIT_MS
+    rest = list(buffer.handleExpiredTimer((7,), Clock(), None))
+    assert [f["sample_id"].tolist() for f in rest] == [[4, 5]] and rest[0]["batch"].tolist() == [1, 1]
+    assert list(buffer.handleExpiredTimer((7,), Clock(), None)) == []
