@@ -298,6 +298,35 @@ def test_line_buckets_are_decided_in_full(spark):
     assert got == dict(enumerate(low)) and len(set(low)) < 60
 
 
+def _meeting_share(spark, pairs):
+    """The share of pairs of lines that have a band in common."""
+    met = spark.createDataFrame(pairs, "a string, b string").repartition(4)
+    return met.select(F.arrays_overlap(line_dedup._signature(F.col("a")), line_dedup._signature(F.col("b"))).cast("int").alias("m")).agg(F.avg("m")).first()[0]
+
+
+def _jaccard(a, b):
+    a, b = ({x[i : i + 5] for i in range(len(x) - 4)} or {x} for x in (a, b))
+    return len(a & b) / len(a | b)
+
+
+def _sf_lines(spark, sf):
+    return sorted({x for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").collect() for x in (r.text or "").split("\n")})
+
+
+def test_line_pairs_near_the_threshold_meet(spark, sf):
+    rng, pairs = random.Random(3), []
+    lines = [x for x in _sf_lines(spark, sf) if 20 <= len(x) <= 800]
+    while len(pairs) < 400:
+        a = rng.choice(lines)
+        b = list(a)
+        for _ in range(rng.randrange(1, 2 + len(a) // 25)):
+            at = rng.randrange(len(b))
+            b[at] = rng.choice(["", "x", b[at] + "y", "q "])
+        if 0.8 <= _jaccard(a, "".join(b)) <= 0.85:
+            pairs.append((a, "".join(b)))
+    assert _meeting_share(spark, pairs) >= 0.98
+
+
 def test_line_dedup_is_native(spark, sf):
     df = line_dedup.dedup_lines(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))
     assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
