@@ -327,6 +327,13 @@ def test_line_pairs_near_the_threshold_meet(spark, sf):
     assert _meeting_share(spark, pairs) >= 0.98
 
 
+def test_line_pairs_across_a_word_count_meet(spark, sf):
+    long_words = lambda x: re.findall(r"(?<!\S)\S{5,}", x)
+    pairs = [(x, x.replace(long_words(x)[k] + " ", "", 1)) for x in _sf_lines(spark, sf) if len(long_words(x)) == 10 for k in range(10)]
+    pairs = [(a, b) for a, b in pairs if a != b and _jaccard(a, b) >= 0.8]
+    assert len(pairs) > 20 and _meeting_share(spark, pairs) >= 0.98
+
+
 def test_line_dedup_is_native(spark, sf):
     df = line_dedup.dedup_lines(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))
     assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
