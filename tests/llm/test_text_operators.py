@@ -334,6 +334,18 @@ def test_line_pairs_across_a_word_count_meet(spark, sf):
     assert len(pairs) > 20 and _meeting_share(spark, pairs) >= 0.98
 
 
+def test_lines_without_spaces_meet(spark):
+    rng = random.Random(4)
+    pairs = []
+    for i in range(200):
+        a = "".join(rng.choice("abcdefghijklmnopqrstuvwxyz0123456789/_") for _ in range(200))
+        at = rng.randrange(10)
+        pairs.append((a, a[:at] + "#" + a[at + i % 2 :]))
+    assert _meeting_share(spark, pairs) == 1.0
+    heads = [("prefix0123" + a[:150], "prefix0123" + b[:150]) for (a, _), (b, _) in zip(pairs, pairs[1:], strict=False)]
+    assert _meeting_share(spark, heads) == 0.0
+
+
 def test_line_dedup_is_native(spark, sf):
     df = line_dedup.dedup_lines(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))
     assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
