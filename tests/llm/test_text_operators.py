@@ -346,6 +346,23 @@ def test_lines_without_spaces_meet(spark):
     assert _meeting_share(spark, heads) == 0.0
 
 
+def test_rows_that_share_an_id_lose_their_own_lines_only(spark):
+    rng = random.Random(8)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(7))
+    own = [" ".join(word() for _ in range(8)) for _ in range(40)]
+    common = " ".join(word() for _ in range(20))
+    near = common[:-1] + "#"
+    # One row of each shared id has the common line, or one much like it, where the others have lines of their own.
+    rows = [(1, "a", f"{common}\n{own[0]}"), (None, "b", f"{own[1]}\n{common}"), (None, "c", f"{own[2]}\n{own[3]}"), (None, "d", f"{own[4]}\n{near}"), (7, "e", f"{near}\n{own[5]}"), (7, "f", f"{own[6]}\n{own[7]}")]
+    rows += [(None, f"n{i}", f"{own[i]}\n{own[i + 1]}") for i in range(10, 38, 2)] + [(9, "g", own[8]), (9, "h", own[8]), (9, "i", own[9])]
+    got = {r.name: (r.text, r.n_dropped) for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, name string, text string").repartition(3)).collect()}
+    assert {k: got[k] for k in "abdeghi"} == {"a": (rows[0][2], 0), "b": (own[1], 1), "d": (own[4], 1), "e": (own[5], 1), "g": (own[8], 0), "h": (own[8], 0), "i": (own[9], 0)}
+    assert all(got[k] == (t, 0) for _, k, t in rows if k not in "bde")
+    # Similar lines with the same id and place: one of them stays.
+    both = line_dedup.dedup_lines(spark.createDataFrame([(None, common), (None, near)], "doc_id long, text string"))
+    assert sorted(r.n_dropped for r in both.collect()) == [0, 1]
+
+
 def test_line_dedup_is_native(spark, sf):
     df = line_dedup.dedup_lines(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text"))
     assert not re.search("Python|Arrow|Pandas", df._jdf.queryExecution().executedPlan().toString())
