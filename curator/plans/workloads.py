@@ -17,6 +17,7 @@ from curator.plans import oracles as o
 from curator.sources.tables import read_table
 
 RATES = (10, 20, 30, 40, 50, 60)
+PAD_CONTEXTS, PAD_SIZES = (512, 1024, 4096), (16, 64, 256)
 TIDY = ("dataset", "model", "strategy", "rate_pct", "metric", "value")
 
 
@@ -117,21 +118,40 @@ def redundancy_by_rate(s: SparkSession, d: str) -> DataFrame:
     return m.six(per.groupBy("rate_pct").agg(F.sum("c").alias("n"), (1 - F.count(F.lit(1)) / F.sum("c")).alias("duplicate_share")))
 
 
+def _padding_rates(n: DataFrame, size: int) -> list[DataFrame]:
+    """``context, batch, layout, rows, cells, padding_rate, truncated`` of every layout over all samples."""
+    b = packing.form_batches(n, size).persist()
+    shape = ["layout", "rows", "cells", "padding_rate", "truncated"]
+    report = lambda v, k, context: packing.layout_report(v, k).select(context.alias("context"), F.lit(size).alias("batch"), *shape)
+    # These two do not depend on the context.
+    every = F.explode(F.array(*(F.lit(c) for c in PAD_CONTEXTS)))
+    parts = [report(packing.pad_layout(b), "pad_longest", every), report(packing.fixed_pack(b), "fixed_pack", every)]
+    for context in PAD_CONTEXTS:
+        made = {
+            "pad_model_max": packing.pad_layout(b, context),
+            "next_fit_asc": packing.batch_layout(packing.dynamic_pack(b, context, "next", False)),
+            "next_fit_desc": packing.batch_layout(packing.dynamic_pack(b, context, "next")),
+            "first_fit_desc": packing.batch_layout(packing.dynamic_pack(b, context, "first")),
+            "best_fit_desc": packing.batch_layout(packing.dynamic_pack(b, context, "best")),
+        }
+        parts += [report(v, k, F.lit(context)) for k, v in made.items()]
+    return parts
+
+
 def padding_comparison(s: SparkSession, d: str) -> DataFrame:
-    """Padding rates of the layouts for two data sets, three contexts and three batch sizes, over-long samples left out."""
+    """Padding rates of the layouts for two data sets, three contexts and three batch sizes, over all samples.
+
+    A sample longer than the context has a row of its own in packed layouts and is cut where a layout has a fixed width (``truncated`` tokens);
+    ``long_samples`` and ``long_tokens`` are the shares of such samples and of their tokens.
+    """
     parts = []
     for data in ("pairs", "documents"):
         n = m.lengths(s, d, data).persist()
-        for context in (512, 1024, 4096):
-            for size in (16, 64, 256):
-                b = packing.form_batches(n.filter(F.col("n_tokens") <= context), size)
-                made = {
-                    "pad_longest": packing.pad_layout(b),
-                    "pad_model_max": packing.pad_layout(b, context),
-                    "next_fit_asc": packing.batch_layout(packing.dynamic_pack(b, context, "next", False)),
-                    "first_fit_desc": packing.batch_layout(packing.dynamic_pack(b, context, "first")),
-                }
-                parts += [packing.layout_report(v, k).select(F.lit(data).alias("dataset"), F.lit(context).alias("context"), F.lit(size).alias("batch"), "layout", "rows", "cells", "padding_rate") for k, v in made.items()]
+        long = F.col("n_tokens") > F.col("context")
+        shares = n.select("n_tokens", F.explode(F.array(*(F.lit(c) for c in PAD_CONTEXTS))).alias("context")).groupBy("context")
+        shares = shares.agg(F.avg(long.cast("int")).alias("long_samples"), (F.sum(F.when(long, F.col("n_tokens")).otherwise(0)) / F.sum("n_tokens")).alias("long_tokens"))
+        rates = union([part for size in PAD_SIZES for part in _padding_rates(n, size)])
+        parts.append(rates.join(shares, "context").select(F.lit(data).alias("dataset"), "context", "batch", "layout", "rows", "cells", "padding_rate", "truncated", "long_samples", "long_tokens"))
     return m.six(union(parts))
 
 

@@ -195,3 +195,20 @@ def test_pack_buffer_emits_full_batches_and_the_rest_on_time(monkeypatch):
     rest = list(buffer.handleExpiredTimer((7,), Clock(), None))
     assert [f["sample_id"].tolist() for f in rest] == [[4, 5]] and rest[0]["batch"].tolist() == [1, 1]
     assert list(buffer.handleExpiredTimer((7,), Clock(), None)) == []
+
+
+def test_padding_comparison_keeps_long_samples(spark, monkeypatch):
+    from curator.plans import workloads
+
+    lengths = [300, 200, 700, 100, 512]
+    n = spark.createDataFrame(list(enumerate(lengths)), "sample_id long, n_tokens int")
+    monkeypatch.setattr(workloads.m, "lengths", lambda s, d, data: n)
+    monkeypatch.setattr(workloads, "PAD_CONTEXTS", (512, 1024), raising=False)
+    monkeypatch.setattr(workloads, "PAD_SIZES", (16,), raising=False)
+    got = {(r.context, r.layout): r for r in workloads.padding_comparison(spark, "").filter("dataset = 'pairs' and batch = 16").collect()}
+    assert {k for c, k in got if c == 512} == {"pad_longest", "pad_model_max", "fixed_pack", "next_fit_asc", "next_fit_desc", "first_fit_desc", "best_fit_desc"}
+    cells = {k: got[512, k].cells for c, k in got if c == 512}
+    assert cells["pad_longest"] == 5 * 700 and cells["pad_model_max"] == 5 * 512 and got[512, "pad_model_max"].truncated == 188
+    # Descending: 700 alone, 512 alone, then 300 + 200 and 100.
+    assert cells["first_fit_desc"] == cells["best_fit_desc"] == cells["next_fit_desc"] == 4 * 700 and cells["next_fit_asc"] == 4 * 700
+    assert all((r.long_samples, r.long_tokens) == ((0.2, round(700 / 1812, 6)) if c == 512 else (0, 0)) for (c, _), r in got.items())
