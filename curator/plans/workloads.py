@@ -118,7 +118,7 @@ def redundancy_by_rate(s: SparkSession, d: str) -> DataFrame:
     return m.six(per.groupBy("rate_pct").agg(F.sum("c").alias("n"), (1 - F.count(F.lit(1)) / F.sum("c")).alias("duplicate_share")))
 
 
-def _padding_rates(n: DataFrame, size: int) -> list[DataFrame]:
+def _padding_rates(n: DataFrame, size: int) -> DataFrame:
     """``context, batch, layout, rows, cells, padding_rate, truncated`` of every layout over all samples."""
     b = packing.form_batches(n, size).persist()
     shape = ["layout", "rows", "cells", "padding_rate", "truncated"]
@@ -135,7 +135,11 @@ def _padding_rates(n: DataFrame, size: int) -> list[DataFrame]:
             "best_fit_desc": packing.batch_layout(packing.dynamic_pack(b, context, "best")),
         }
         parts += [report(v, k, F.lit(context)) for k, v in made.items()]
-    return parts
+    # One row per context and layout: they come to the driver, so that the plans of all batch sizes do not add up there.
+    rates = union(parts)
+    out = n.sparkSession.createDataFrame(rates.collect(), rates.schema)
+    b.unpersist()
+    return out
 
 
 def padding_comparison(s: SparkSession, d: str) -> DataFrame:
@@ -150,7 +154,7 @@ def padding_comparison(s: SparkSession, d: str) -> DataFrame:
         long = F.col("n_tokens") > F.col("context")
         shares = n.select("n_tokens", F.explode(F.array(*(F.lit(c) for c in PAD_CONTEXTS))).alias("context")).groupBy("context")
         shares = shares.agg(F.avg(long.cast("int")).alias("long_samples"), (F.sum(F.when(long, F.col("n_tokens")).otherwise(0)) / F.sum("n_tokens")).alias("long_tokens"))
-        rates = union([part for size in PAD_SIZES for part in _padding_rates(n, size)])
+        rates = union([_padding_rates(n, size) for size in PAD_SIZES])
         parts.append(rates.join(shares, "context").select(F.lit(data).alias("dataset"), "context", "batch", "layout", "rows", "cells", "padding_rate", "truncated", "long_samples", "long_tokens"))
     return m.six(union(parts))
 
