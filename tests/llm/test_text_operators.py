@@ -285,8 +285,7 @@ def test_line_buckets_are_decided_in_full(spark):
             lines.append(" ".join(passage + own))
     rng.shuffle(lines)
     docs = spark.createDataFrame(list(enumerate(map(str, lines))), "doc_id long, text string")
-    seen = line_dedup._occurrences(docs, "text", "doc_id").withColumn("keys", line_dedup._signature(F.col("line"))).drop("line")
-    keys = {r.doc: set(r["keys"]) for r in seen.select("doc", "keys").collect()}
+    keys = {r.doc_id: set(r["keys"]) for r in line_dedup._signed(docs, "text").collect()}
     sets = [{x[i : i + 5] for i in range(len(x) - 4)} for x in lines]
     assert max(sum(k in own for own in keys.values()) for own in keys.values() for k in own) > 20
     low = list(range(len(lines)))
@@ -294,14 +293,15 @@ def test_line_buckets_are_decided_in_full(spark):
     for _ in lines:
         for i, j in links:
             low[i] = low[j] = min(low[i], low[j])
-    got = {int(r.id) >> 31: int(r.keep) >> 31 for r in line_dedup.line_classes(docs, seen).collect()}
+    got = {int(r.id) >> 31: int(r.keep) >> 31 for r in line_dedup.line_classes(line_dedup.distinct_lines(docs)).collect()}
     assert got == dict(enumerate(low)) and len(set(low)) < 60
 
 
 def _meeting_share(spark, pairs):
     """The share of pairs of lines that have a band in common."""
     met = spark.createDataFrame(pairs, "a string, b string").repartition(4)
-    return met.select(F.arrays_overlap(line_dedup._signature(F.col("a")), line_dedup._signature(F.col("b"))).cast("int").alias("m")).agg(F.avg("m")).first()[0]
+    signed = line_dedup._signed(line_dedup._signed(met, "a").withColumnRenamed("keys", "k"), "b")
+    return signed.select(F.arrays_overlap("k", "keys").cast("int").alias("m")).agg(F.avg("m")).first()[0]
 
 
 def _jaccard(a, b):
