@@ -2,7 +2,8 @@
 
 The word-BPE file lower-cases, drops white space and cuts a text into pre-tokens before it looks at any merge, and
 treats each pre-token by itself; so the library's result for a text is the concatenation of its results for the
-pre-tokens, and the library is asked once per distinct one.  Latin text is cut here by the file's own pattern.  A text with any
+pre-tokens, and the library is asked once per distinct one.  Latin text is cut here by the file's own pattern, and the library's model gets
+the pre-tokens in the letters that its byte-level step gives for them.  A text with any
 other character, or with something like a special token, is cut at ASCII white space alone and the library does the rest.
 The memo is bounded and outlives a task in its worker; what it forgets costs time but never changes a result.
 """
@@ -11,6 +12,7 @@ from __future__ import annotations
 
 import os
 import re
+import struct
 from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
 
@@ -19,13 +21,11 @@ import numpy as np
 #: Entries of each of a memo's two generations.
 MEMO_ENTRIES = 300_000
 BLOCK_CHARS = 1 << 20
-#: Pre-tokens that the library gets as one text.
-JOINED = 512
 
 #: Letters, numbers and white space among the characters that the short way handles, in lower case.
 _LETTER, _NUMBER, _SPACE = "a-zªµºß-öø-žſ", "0-9²³¹¼½¾", "\t-\r \x85\xa0"
 _CUT = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_NUMBER}]|[^{_SPACE}{_LETTER}{_NUMBER}]+")
-_OTHER = re.compile("[^\x00-įı-ſ]|<\\|")
+_OTHER = re.compile("[^\x00-įı-ſ]")
 
 
 @lru_cache(maxsize=4)
@@ -40,12 +40,10 @@ def tokenizer(path: str):
 
 
 @lru_cache(maxsize=4)
-def _ends(path: str) -> np.ndarray:
-    """Whether an id ends a pre-token."""
-    words = tokenizer(path).get_vocab(with_added_tokens=True)
-    flags = np.zeros(max(words.values()) + 1, bool)
-    flags[[i for w, i in words.items() if w.endswith("</w>")]] = True
-    return flags
+def _letters(path: str) -> dict[int, str]:
+    """What the library's byte-level step makes of each character that the short way handles."""
+    cut = tokenizer(path).pre_tokenizer.pre_tokenize_str
+    return {c: "".join(p for p, _ in cut(chr(c))) for c in range(0x180) if not chr(c).isspace()}
 
 
 def blocks(text: str) -> Iterator[tuple[list[str], bool]]:
@@ -59,7 +57,7 @@ def blocks(text: str) -> Iterator[tuple[list[str], bool]]:
             cut = cut if cut > 0 else end
         block = text[at:cut]
         at = cut
-        if _OTHER.search(block):
+        if "<|" in block or not block.isascii() and _OTHER.search(block):
             yield [w.decode("utf-8") for w in block.encode("utf-8").split()], False
         else:
             yield _CUT.findall(block.lower()), True
@@ -89,26 +87,24 @@ class Generations(dict):
 
 
 class PretokenMemo(Generations):
-    """Maps a part to ``make(ids)``, ids being an array; parts must be given to ``learn`` before they are looked up."""
+    """Maps a part to ``make(ids)``, ids being a list; parts must be given to ``learn`` before they are looked up."""
 
     def __init__(self, path: str, make: Callable) -> None:
         super().__init__()
-        self.lib, self.ends, self.make = tokenizer(path), _ends(path), make
+        self.lib, self.letters, self.make = tokenizer(path), _letters(path), make
+        self.model = self.lib.model
 
     def learn(self, parts: Iterable[str], whole: bool) -> None:
         new = self.missing(parts)
-        if not new:
-            return
         if whole:
-            texts = [" ".join(new[i : i + JOINED]) for i in range(0, len(new), JOINED)]
-            ids = np.concatenate([np.array(e.ids, np.uint32) for e in self.lib.encode_batch_fast(texts, add_special_tokens=False)])
-            cuts = np.flatnonzero(self.ends[ids]) + 1
-            if len(cuts) == len(new):
-                cuts = cuts.tolist()
-                self.update(zip(new, [self.make(ids[a:b]) for a, b in zip([0, *cuts], cuts, strict=False)], strict=True))
-                return
-        for part, found in zip(new, self.lib.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self[part] = self.make(np.array(found.ids, np.uint32))
+            cut, letters, make = self.model.tokenize, self.letters, self.make
+            for part in new:
+                if part.isprintable():
+                    self[part] = make([t.id for t in cut(part if part.isascii() else part.translate(letters))])
+            new = [part for part in new if not part.isprintable()]
+        if new:
+            for part, found in zip(new, self.lib.encode_batch_fast(new, add_special_tokens=False), strict=True):
+                self[part] = self.make(found.ids)
 
     def values(self, parts: list[str], whole: bool) -> list:
         """The value of every part, in order."""
@@ -156,4 +152,5 @@ def length_memo(path: str) -> PretokenMemo:
 
 @lru_cache(maxsize=2)
 def bytes_memo(path: str, kind: str) -> PretokenMemo:
-    return PretokenMemo(path, lambda ids: ids.astype(kind).tobytes())
+    pack = {n: struct.Struct(f"<{n}{'H' if kind == '<u2' else 'I'}").pack for n in range(1, 64)}
+    return PretokenMemo(path, lambda ids: pack[len(ids)](*ids) if len(ids) in pack else np.array(ids, kind).tobytes())
