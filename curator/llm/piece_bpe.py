@@ -2,14 +2,14 @@
 
 A text is cut before every run of meta spaces (no piece has one behind another character, which is checked when a model is loaded),
 so its parts are encoded independently and each distinct part once per memo.  Parts lie in one flat symbol array; a round finds
-the smallest pair rank of every part by a segmented minimum, merges its leftmost pair of that rank, compacts the array and drops
-finished parts, until no pair remains.  Long parts go through a priority queue with the same order of merges.
+the smallest pair rank of every part by a segmented minimum, merges its pairs of that rank from the left, all at once, compacts the array and drops
+finished parts, until no pair remains.  A merge may make a pair that has to go before the next of the same rank: a part's merges of a round
+end with the first that does.  So merges are those of one after another, and long parts take rounds about as their different ranks.
 """
 
 from __future__ import annotations
 
 import hashlib
-import heapq
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -24,8 +24,6 @@ from pyspark.sql.types import ArrayType, IntegerType
 from .pretokens import Generations, strides
 
 META = "▁"
-#: Parts of more symbols than this take the priority queue, whose work is n log n.
-LONG_PART = 48
 MEMO_ENTRIES = 200_000
 #: Characters of text that are looked through for new parts at a time.
 STRIDE = 1 << 19
@@ -61,7 +59,6 @@ class PieceModel:
                 left, right = symbol(piece[:at]), symbol(piece[at:])
                 if left is not None and right is not None:
                     pairs[(left << int(_SHIFT)) | right] = (rank_of[piece], i)
-        self.pairs = pairs
         self.keys = np.array(sorted(pairs), np.int64)
         self.ranks = np.array([pairs[k][0] for k in self.keys.tolist()], np.int32)
         self.merged = np.array([pairs[k][1] for k in self.keys.tolist()], np.int64)
@@ -81,42 +78,32 @@ class PieceModel:
         hit = self.keys[at] == key
         return np.where(hit, self.ranks[at], _NONE), at
 
-    def _queue(self, part: str) -> np.ndarray:
-        """One long part by a priority queue: best rank first, then leftmost."""
-        symbols = self.char[np.frombuffer(part.encode("utf-32-le"), "<u4")].tolist()
-        ahead, behind = list(range(1, len(symbols) + 1)), list(range(-1, len(symbols) - 1))
-        heap: list[tuple[int, int, int, int]] = []
-
-        def offer(i: int, j: int) -> None:
-            if i >= 0 and j < len(symbols) and (found := self.pairs.get((symbols[i] << int(_SHIFT)) | symbols[j])):
-                heapq.heappush(heap, (found[0], i, symbols[i], symbols[j]))
-
-        for i in range(len(symbols) - 1):
-            offer(i, i + 1)
-        while heap:
-            _, i, a, b = heapq.heappop(heap)
-            j = ahead[i]
-            if symbols[i] != a or j >= len(symbols) or symbols[j] != b:
-                continue
-            symbols[i], symbols[j] = self.pairs[(a << int(_SHIFT)) | b][1], -1
-            ahead[i] = ahead[j]
-            if ahead[i] < len(symbols):
-                behind[ahead[i]] = i
-            offer(behind[i], i)
-            offer(i, ahead[i])
-        return np.array([s for s in symbols if s >= 0], np.int64)
+    def _together(self, flat: np.ndarray, rank: np.ndarray, left: np.ndarray, made: np.ndarray, part: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Of the places ``left`` of each part those up to the first whose merge makes a pair of no higher rank."""
+        owner = part[left]
+        again = np.r_[False, owner[1:] == owner[:-1]]
+        if not again.any():
+            return left
+        several = np.flatnonzero(again | np.r_[again[1:], False])
+        here, own, new = left[several], owner[several], made[several]
+        touching = again[several] & (left[several - 1] == here - 2)
+        before = np.where(touching, made[several - 1], flat[here - 1])
+        first = (here == 0) | (part[here - 1] != own)
+        last = here + 2 > ends[own]
+        after = flat[np.where(last, here, here + 2)]
+        early = ~first & (self._look(before, new)[0] <= rank[here]) | ~last & (self._look(new, after)[0] <= rank[here])
+        if not early.any():
+            return left
+        passed = np.cumsum(early) - early
+        starts = np.flatnonzero(~again[several])
+        stay = np.ones(len(left), bool)
+        stay[several] = passed == np.repeat(passed[starts], np.diff(np.r_[starts, len(several)]))
+        return left[stay]
 
     def encode_parts(self, parts: list[str]) -> list[bytes]:
         """Ids of each part as 32-bit integers."""
-        out: list = [None] * len(parts)
-        short = []
-        for n, part in enumerate(parts):
-            if len(part) > LONG_PART:
-                out[n] = self.packed(self._queue(part))
-            elif part:
-                short.append(n)
-            else:
-                out[n] = b""
+        out: list = [b""] * len(parts)
+        short = [n for n, part in enumerate(parts) if part]
         if not short:
             return out
         flat = self.char[np.frombuffer("".join([parts[n] for n in short]).encode("utf-32-le"), "<u4")]
@@ -142,21 +129,23 @@ class PieceModel:
                 ends = np.cumsum(sizes) - 1
             part = np.repeat(np.arange(len(names)), sizes)
             hits = np.flatnonzero(rank == best[part])
-            owner = part[hits]
-            left = hits[np.r_[True, owner[1:] != owner[:-1]]]
+            # Of pairs that overlap, the leftmost goes, then the next but one: every other hit of a run of neighbours.
+            runs = np.flatnonzero(np.r_[True, np.diff(hits) > 1])
+            left = hits[(np.arange(len(hits)) - np.repeat(runs, np.diff(np.r_[runs, len(hits)]))) % 2 == 0]
+            left = self._together(flat, rank, left, self.merged[at[left]], part, ends)
             flat[left] = self.merged[at[left]]
             # The pair's own rank slot passes to its right neighbour's before that one is dropped.
             rank[left], at[left] = rank[left + 1], at[left + 1]
             keep = np.ones(len(flat), bool)
             keep[left + 1] = False
             flat, rank, at = flat[keep], rank[keep], at[keep]
-            sizes = sizes - 1
+            sizes = sizes - np.bincount(part[left], minlength=len(names))
             ends = np.cumsum(sizes) - 1
             starts = ends - sizes + 1
-            spot = left - np.arange(len(left))
-            inner = spot[spot < ends]
+            spot, owner = left - np.arange(len(left)), part[left]
+            inner = spot[spot < ends[owner]]
             rank[inner], at[inner] = self._look(flat[inner], flat[inner + 1])
-            inner = spot[spot > starts] - 1
+            inner = spot[spot > starts[owner]] - 1
             rank[inner], at[inner] = self._look(flat[inner], flat[inner + 1])
         return out
 
