@@ -1,8 +1,9 @@
 """Exact top-k inner-product search in tiles (operator 5).
 
 Vectors are packed into blocks of contiguous integers.  Every query block meets every shard block
-of its dimension in one tile: a matrix product, a partial selection of ``k + 1`` per query, and then the
-short lists are merged pairwise in a tree of bounded fan-in.
+of its dimension in one tile: a matrix product, a partial selection of ``k + 1`` per query along the tile's rows, and then the
+short lists are merged in a tree: shards are numbered, a node of a level merges the lists of FAN_IN nodes that are next to each other on the
+level below, and there are as many levels as it takes to come to one list.
 """
 
 from __future__ import annotations
@@ -11,18 +12,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .scratch import stored
 
 #: Rows of a shard and of a query block: 8,192 x 2,048 scores of 8 bytes are 128 MB at most, made in strips of QUERY_STRIP.
 SHARD_ROWS, QUERY_ROWS, QUERY_STRIP = 8192, 2048, 256
+#: Lists that a node of the merging tree takes.
 FAN_IN = 16
 SCALE = 256
 
 _BLOCK = "dim int, block long, ids binary, vecs binary"
-_LIST = "block long, dim int, at int, query_id long, own long, ids array<long>, scores array<long>"
+_LIST = "block long, dim int, node long, at int, query_id long, own long, ids array<long>, scores array<long>"
 
 
 #: Component types of a block, the narrowest that holds it is taken; a block starts with its two letters.
@@ -79,37 +81,44 @@ def _product(queries: np.ndarray, shard: np.ndarray) -> np.ndarray:
     return np.array([[((sum(a * b for a, b in zip(q, s, strict=True)) + 2**63) % 2**64) - 2**63 for s in as_int[1]] for q in as_int[0]], np.int64).reshape(len(queries), len(shard))
 
 
-def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The k first by falling score, then rising id."""
-    if len(scores) > 4 * k:
-        cut = np.partition(scores, len(scores) - k)[len(scores) - k]
-        at = np.flatnonzero(scores >= cut)
-        scores, ids = scores[at], ids[at]
+def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """The k first of each row of ``scores`` (one column per id) by falling score, then rising id."""
+    rows, n = scores.shape
+    if n > k:
+        # Everything from a row's k-th score on, ties included.
+        at, column = np.nonzero(scores >= np.partition(scores, n - k, axis=1)[:, n - k, None])
+    else:
+        at, column = np.divmod(np.arange(rows * n), max(1, n))
+    found, named = scores[at, column], ids[column]
     # -scores would overflow for the smallest integer; ~ keeps the order reversed.
-    order = np.lexsort((ids, ~scores))[:k]
-    return scores[order], ids[order]
+    order = np.lexsort((named, ~found, at))
+    at, found, named = at[order], found[order], named[order]
+    place = np.arange(len(at)) - np.searchsorted(at, at)
+    first = place < k
+    cuts = np.searchsorted(at[first], np.arange(1, rows))
+    return np.split(found[first], cuts), np.split(named[first], cuts)
 
 
 def _tile(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in range(batch.num_rows):
-                dim, block, q_ids, q_vecs, s_ids, s_vecs = (batch.column(i)[row].as_py() for i in range(6))
+                dim, block, node, q_ids, q_vecs, s_ids, s_vecs = (batch.column(i)[row].as_py() for i in range(7))
                 q_ids, s_ids = np.frombuffer(q_ids, "<i8"), np.frombuffer(s_ids, "<i8")
                 queries, shard = _unpack(q_vecs, len(q_ids)), _unpack(s_vecs, len(s_ids))
                 ids, scores, own = [], [], []
                 for at in range(0, len(queries), QUERY_STRIP):
                     strip = queries[at : at + QUERY_STRIP]
                     own += [int(_product(q[None, :], q[None, :])[0, 0]) for q in strip]
-                    for line in _product(strip, shard):
-                        s, i = _best(line, s_ids, k + 1)
-                        scores.append(s)
-                        ids.append(i)
+                    s, i = _best(_product(strip, shard), s_ids, k + 1)
+                    scores += s
+                    ids += i
                 n = len(q_ids)
                 yield pa.RecordBatch.from_pydict(
                     {
                         "block": pa.array(np.full(n, block), pa.int64()),
                         "dim": pa.array(np.full(n, dim), pa.int32()),
+                        "node": pa.array(np.full(n, node), pa.int64()),
                         "at": pa.array(np.arange(n), pa.int32()),
                         "query_id": pa.array(q_ids, pa.int64()),
                         "own": pa.array(own, pa.int64()),
@@ -142,19 +151,19 @@ def exact_topk(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str =
 
     shards = stored(blocks(vectors, shard_rows), "shards").select("dim", F.col("block").alias("shard"), F.col("ids").alias("s_ids"), F.col("vecs").alias("s_vecs"))
     asked = blocks(queries, query_rows).select("dim", "block", F.col("ids").alias("q_ids"), F.col("vecs").alias("q_vecs"))
-    # The grid of tiles: shards are numbered into as many buckets as there are shards, each query block visits every bucket, and
-    # the equi-join on the bucket deals the tiles out evenly even if all vectors have one dimension.
-    buckets = max(1, shards.select("shard").count())
-    shards = shards.withColumn("bucket", F.pmod(F.xxhash64("shard"), F.lit(buckets)).cast("int"))
-    asked = asked.withColumn("bucket", F.explode(F.sequence(F.lit(0), F.lit(buckets - 1))))
-    grid = asked.join(shards, ["dim", "bucket"])
-    lists = grid.select("dim", "block", "q_ids", "q_vecs", "s_ids", "s_vecs").mapInArrow(_tile(k), _LIST)
+    # The grid of tiles: shards are numbered (one row per SHARD_ROWS vectors), each query block visits every number, and
+    # the equi-join on the number deals the tiles out evenly even if all vectors have one dimension.
+    numbers = shards.select("shard", (F.row_number().over(Window.orderBy("shard")) - 1).cast("long").alias("node"))
+    width = numbers.count()
+    shards = shards.join(numbers, "shard")
+    asked = asked.withColumn("node", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(max(1, width) - 1).cast("long"))))
+    grid = asked.join(shards, ["dim", "node"])
+    lists = grid.select("dim", "block", "node", "q_ids", "q_vecs", "s_ids", "s_vecs").mapInArrow(_tile(k), _LIST)
     lists = lists.withColumn("best", F.arrays_zip(F.col("scores").alias("s"), F.col("ids").alias("i"))).drop("ids", "scores")
     key = ["dim", "block", "at", "query_id", "own"]
-    # Tree merging: lists of a query are merged within random groups of FAN_IN first, so that no task holds all lists of a query.
-    lists = lists.withColumn("branch", F.pmod(F.xxhash64(F.col("best"), F.col("at")), F.lit(FAN_IN)))
-    for level in (["branch"], []):
-        lists = lists.groupBy(*key, *level).agg(_first(F.flatten(F.collect_list("best")), k + 1).alias("best"))
+    while width > 1:
+        lists = lists.withColumn("node", F.expr(f"node div {FAN_IN}")).groupBy(*key, "node").agg(_first(F.flatten(F.collect_list("best")), k + 1).alias("best"))
+        width = -(-width // FAN_IN)
     me = F.transform("best", lambda b: (b["i"] == F.col("query_id")) & (b["s"] == F.col("own")))
     spot = F.coalesce(F.array_position(me, True), F.lit(0))
     rest = F.filter("best", lambda b, i: i + 1 != F.col("spot"))
