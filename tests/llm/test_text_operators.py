@@ -173,6 +173,16 @@ def test_piece_model_equals_the_library(spark):
     assert piece_bpe.encode_documents(odd_docs(spark).limit(0), PIECES).count() == 0
 
 
+def test_long_parts_take_the_same_rounds(spark):
+    """Parts without a space, short and long, where merges of one rank overlap and new pairs come before the next of the same rank."""
+    import sentencepiece
+
+    lib, rng = sentencepiece.SentencePieceProcessor(model_file=PIECES), random.Random(1)
+    texts = ["a" * n for n in (1, 2, 3, 7, 48, 49, 500, 20_000)] + ["ab" * 5000, "".join(rng.choice("etaoinshrdlu") for _ in range(8000))]
+    texts += ["".join(rng.choice("abcdeé語ß/_-1 ") for _ in range(rng.randrange(1, 300))) for _ in range(500)] + ["".join(rng.choice("anest") for _ in range(200)) for _ in range(300)]
+    assert [ids[:-1] for ids in piece_bpe.encode(texts, PIECES)] == lib.encode(texts)
+
+
 def test_quality_edges(spark):
     docs = odd_docs(spark).withColumnRenamed("lang", "Kept")
     got = quality.judge_quality(docs)
@@ -184,6 +194,24 @@ def test_quality_edges(spark):
     assert {r.name for r in quality.order_rules(got, rules, 10)} == {r.name for r in rules}
 
 
+def test_rules_go_by_rejections_per_cost(spark):
+    rule = lambda name, rejects=None: quality.Rule(name, rejects)
+    a, b, c = rule("a"), rule("b"), rule("c")
+    seen = {frozenset("ab"): 50, frozenset("b"): 10, frozenset("c"): 30, frozenset(): 10}
+    # b rejects most; what a rejects is gone then, so c is next although a alone would reject more.
+    assert [r.name for r in quality.cascade([a, b, c], dict(a=1.0, b=1.0, c=1.0), seen)] == ["b", "c", "a"]
+    assert [r.name for r in quality.cascade([a, b, c], dict(a=1.0, b=10.0, c=1.0), seen)] == ["a", "c", "b"]
+    docs = spark.createDataFrame([(i, f"word{i} " * 60 if i % 2 else "x" * 900 + " y" * 60) for i in range(400)], "doc_id long, text string")
+    # Equal rejections: the rule that takes longer goes last.  Rows that the base rejects are not counted for any rule.
+    dear = quality.Rule("dear", F.length(F.regexp_replace(F.regexp_replace("text", r"(\p{L})(?=\p{L})", "$1-"), r"-+", "")) > 900)
+    cheap = quality.Rule("cheap", F.length("text") > 900)
+    base = docs.withColumn("base_failed", F.col("doc_id") % 2 == 1)
+    assert [r.name for r in quality.order_rules(base, [dear, cheap])] == ["cheap", "dear"]
+    judged = quality.judge_quality(docs, rules=[dear, cheap]).collect()
+    again = quality.judge_quality(docs, rules=[cheap, dear]).collect()
+    assert sorted((r.doc_id, r.kept) for r in judged) == sorted((r.doc_id, r.kept) for r in again)
+
+
 def test_mixing(spark):
     rng = random.Random(4)
     rows = [(i, rng.choice(["a", "b", "c", None]), rng.choice([0, 1, 5, 300])) for i in range(800)] + [(5, "a", 7), (5, "a", 7), (None, "b", 3), (900, "a", None)]
@@ -227,10 +255,24 @@ def test_topk_edges(spark):
     got = topk.exact_topk(v, v.filter("vec_id in (0, 3, 5, 6)"), 3, shard_rows=2, query_rows=1).collect()
     assert sorted((r.query_id, r.rank, r.vec_id, r.score) for r in got) == sorted([(0, 1, 0, 65536), (0, 2, 1, 65536), (0, 3, 2, 32768)] * 2)
     assert topk.exact_topk(v.limit(0), v.limit(0)).count() == 0
+    clash = topk.exact_topk(v.withColumn("Rank", F.lit(1)).withColumn("score", F.lit("x")), v.filter("vec_id = 1").withColumn("node", F.lit(0)), 1, shard_rows=3)
+    assert [tuple(r) for r in clash.collect()] == [(1, 1, 0, 65536)]
     big = np.array([[1e12, -3.0], [7.0, 2.0]])
     assert topk._product(big, big)[1, 1] == 53
 
 
+def test_topk_tree_equals_brute_force(spark, monkeypatch):
+    """Ties over many shards, merged over several levels of a narrow tree."""
+    monkeypatch.setattr(topk, "FAN_IN", 3)
+    rng = np.random.default_rng(3)
+    vecs = rng.integers(-2, 3, (400, 4))
+    df = spark.createDataFrame([(i, [float(x) for x in v]) for i, v in enumerate(vecs.tolist())], "vec_id long, embedding array<float>").repartition(5)
+    got = sorted(tuple(r) for r in topk.exact_topk(df, df.filter("vec_id % 7 = 0"), 5, shard_rows=9, query_rows=10).collect())
+    scores = 65536 * vecs @ vecs.T
+    want = [(q, n + 1, int(i), int(scores[q, i])) for q in range(0, 400, 7) for n, i in enumerate(sorted((i for i in range(400) if i != q), key=lambda i: (-scores[q, i], i))[:5])]
+    assert got == sorted(want)
+
+
 def slow_line_dedup(docs):
     first = {}
     for d, t in docs:
