@@ -145,11 +145,6 @@ def strides(texts: Iterable[str], chars: int = 1 << 19) -> Iterator[list[str]]:
         yield held
 
 
-@lru_cache(maxsize=2)
-def length_memo(path: str) -> PretokenMemo:
-    return PretokenMemo(path, len)
-
-
 @lru_cache(maxsize=2)
 def bytes_memo(path: str, kind: str) -> PretokenMemo:
     pack = {n: struct.Struct(f"<{n}{'H' if kind == '<u2' else 'I'}").pack for n in range(1, 64)}

@@ -144,6 +144,64 @@ def test_records_and_counts_equal_the_library(spark, sf):
     assert records.digest(docs.limit(0), WORD_BPE).count() == 0
 
 
+WHOLE = "/root/testdata/sf0.01"
+
+
+def _whole(spark):
+    return {r.doc_id: r.text or "" for r in spark.read.parquet(f"{WHOLE}/documents.parquet").select("doc_id", "text").collect()}
+
+
+def test_records_and_counts_equal_the_library_on_a_table(spark):
+    from tokenizers import Tokenizer
+
+    texts, lib, start = _whole(spark), Tokenizer.from_file(WORD_BPE), 0
+    counts = {r.doc_id: r for r in entries.op7_token_count(spark, WHOLE).collect()}
+    rows = {r.doc_id: r for r in entries.op3_records(spark, WHOLE).collect()}
+    assert len(counts) == len(rows) == len(texts)
+    for d in sorted(texts):
+        ids = lib.encode(texts[d], add_special_tokens=False).ids
+        assert (counts[d].n_tokens, counts[d].n_bytes, counts[d].over_limit) == (len(ids), len(texts[d].encode()), len(ids) > 2048)
+        ids.append(1)
+        assert (rows[d].start, rows[d].n_tokens, rows[d].ids_crc32) == (start, len(ids), zlib.crc32(struct.pack(f"<{len(ids)}I", *ids)))
+        start += len(ids)
+
+
+def test_counts_by_joins_alone_equal_the_library(spark):
+    """A head of a few pre-tokens, so that most come through the shuffle join; and a model file."""
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    docs, lib, pieces = odd_docs(spark).filter("doc_id is not null").withColumn("N_Bytes", F.lit("x")), Tokenizer.from_file(WORD_BPE), sentencepiece.SentencePieceProcessor(model_file=PIECES)
+    for path, count in ((WORD_BPE, lambda t: len(lib.encode(t, add_special_tokens=False).ids)), (PIECES, lambda t: len(pieces.encode(t)))):
+        for head in (0, 3, 200):
+            got = token_count.count_tokens(docs, path, head=head).collect()
+            assert len(got) == len(ODD) + 1 and all(r.n_tokens == count(ODD[r.doc_id] or "") for r in got)
+        table = token_count.piece_table(docs, path).collect()
+        assert len({bytes(r.part) for r in table}) == len(table) and all(r.n > 0 for r in table)
+        assert token_count.count_tokens(docs.limit(0), path).count() == 0
+
+
+def test_pieces_equal_the_library_on_a_table(spark):
+    import sentencepiece
+
+    lib, texts = sentencepiece.SentencePieceProcessor(model_file=PIECES), _whole(spark)
+    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    got = {r.doc_id: r for r in entries.op8_piece_bpe(spark, WHOLE).collect()}
+    assert len(got) == len(texts)
+    for d, text in texts.items():
+        ids = lib.encode(text, add_eos=True)
+        assert (got[d].n_tokens, got[d].ids_sha256, got[d].decoded_sha256) == (len(ids), sha(" ".join(map(str, ids))), sha(lib.decode(ids)))
+
+
+def test_simhash_equals_brute_force_on_a_table(spark):
+    texts = _whole(spark)
+    ids = sorted(texts)
+    prints = [slow_fingerprint(texts[d]) for d in ids]
+    got = {r.doc_id: (r.fingerprint, r.component_id) for r in entries.op2_simhash(spark, WHOLE).collect()}
+    low = components_of(prints)
+    assert got == {d: (f"{p:016x}", ids[at]) for d, p, at in zip(ids, prints, low, strict=True)}
+
+
 def test_record_format(spark):
     payload = b"\x01\x00\x02\x00"
     framed = records.frame(payload)
