@@ -37,6 +37,7 @@ def test_matches_sql(spark, sf, name):
 def test_url_edges(spark):
     urls = [None, "", "no scheme", "http://", "HTTP://A.NET/x", "http://net/", "http://net", "http://xnet/", "http://a.b.example.net/en/1", "http://example.net/enx", "http://example.com/de/?q", "http://u@x.org/fr/#f", "http://x.org/fr", "a://b.net/c://d"]
     pages = spark.createDataFrame([(i, u, "kept") for i, u in enumerate(urls)] + [(1, "", "again")], "page_id long, url string, Rule string")
+    pages = pages.withColumns({"hit": F.lit(1), "HIT_HOST": F.lit(2), "digest": F.lit(3)})
     for limit in (10, 0):
         got = url_filter.judge_urls(pages, url_filter.rules_table(spark, entries.URL_RULES), broadcast_limit=limit)
         rows = {r.page_id: (r.host, r.path, r.rule, r.verdict) for r in got.collect()}
@@ -44,6 +45,8 @@ def test_url_edges(spark):
         assert rows[4] == ("a.net", "/x", "net/", "block") and rows[6] == ("net", "", None, "allow") and rows[7][2] is None
         assert rows[8][2] == "example.net/en/" and rows[9][2] == "net/" and rows[10][3] == "block" and rows[11][2] == "org/fr/" and rows[12][2] is None
         assert rows[0] == ("", "", None, "allow") and rows[13] == ("b.net", "/c://d", "net/", "block")
+    upper = url_filter.judge_urls(spark.createDataFrame([(1, "http://ÄB.de/x")], "page_id long, url string"), url_filter.rules_table(spark, [("block", "ÄB.DE/")]))
+    assert upper.first().verdict == "block"
     assert url_filter.judge_urls(pages.limit(0), url_filter.rules_table(spark, entries.URL_RULES)).count() == 0
 
 
