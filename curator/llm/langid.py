@@ -1,9 +1,10 @@
 """Language identification by cross-parsing entropy (operator 10).
 
-Per language a suffix automaton is built of labelled text.  A text is parsed greedily against each automaton: every phrase is the
-longest match from where the last one ended.  The language that needs the fewest phrases, normalised by the size of
+Per language a suffix automaton is built of the whole texts of a bounded sample of labelled rows.  A text is parsed greedily against each
+automaton: every phrase is the longest match from where the last one ended.  The language that needs the fewest phrases, normalised by the size of
 its training text, wins.  Phrases do not run over the border of a letter run, so the parse of a text is the sum of the parses of
-its words, and each distinct word is parsed once per memo.
+its words, and each distinct word is parsed once per memo.  For the same reason a training word that occurs again adds no match, and
+the automaton is built of the sample's different words.
 """
 
 from __future__ import annotations
@@ -17,8 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-#: The bounded labelled sample: documents per language (smallest id hashes), characters of each, and characters of distinct words per language.
-TRAIN_DOCS, TRAIN_CHARS, WORD_CHARS = 400, 4000, 60_000
+#: The bounded labelled sample: documents per language (smallest id hashes), each taken whole.
+TRAIN_DOCS = 120
 FOLDS = 5
 UNKNOWN = "und"
 #: Letter runs are parsed in pieces of this many letters.
@@ -118,16 +119,10 @@ class LanguageModel:
     parsers: list[CrossParser]
 
     @classmethod
-    def train(cls, samples: dict[str, list[str]], word_chars: int = WORD_CHARS) -> LanguageModel:
+    def train(cls, samples: dict[str, list[str]]) -> LanguageModel:
         texts = {}
         for language in sorted(samples):
-            words: dict[str, None] = {}
-            left = word_chars
-            for text in samples[language]:
-                for word in letter_words(text):
-                    if word not in words and left > 0:
-                        words[word] = None
-                        left -= len(word) + 1
+            words = dict.fromkeys(word for text in samples[language] for word in letter_words(text))
             texts[language] = EDGE + EDGE.join(words) + EDGE
         symbols = {c: i + 1 for i, c in enumerate(sorted(set().union(*texts.values())))} if texts else {}
         return cls(list(texts), symbols, [CrossParser.of(t, symbols) for t in texts.values()])
@@ -177,14 +172,14 @@ class Judge:
 
 
 def training_sample(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id") -> dict[str, list[str]]:
-    """Beginnings of the ``TRAIN_DOCS`` documents with the smallest id hashes of each language, outside the held-out fold."""
+    """The ``TRAIN_DOCS`` documents with the smallest id hashes of each language, outside the held-out fold."""
     known = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & ~held_out(id_col)).withColumn("_h", F.xxhash64(F.col(id_col)))
     # The smallest hashes of a language lie below a bound that its count gives; twice what is needed passes, whatever the size of the table.
     bound = F.lit(False)
     for row in known.groupBy(F.col(lang_col).alias("lang")).count().collect():
         top = min((1 << 63) - 1, -(1 << 63) + int(min(1.0, 2 * TRAIN_DOCS / row["count"]) * (1 << 64)))
         bound = F.when(F.col(lang_col) == row.lang, F.col("_h") <= top).otherwise(bound)
-    rows = known.filter(bound).select(F.col(lang_col).alias("lang"), F.col("_h").alias("h"), F.col(id_col).alias("id"), F.substring(F.col(text_col), 1, TRAIN_CHARS).alias("body"))
+    rows = known.filter(bound).select(F.col(lang_col).alias("lang"), F.col("_h").alias("h"), F.col(id_col).alias("id"), F.col(text_col).alias("body"))
     ranked = rows.withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("h", "id", "body"))).filter(F.col("n") <= TRAIN_DOCS)
     samples: dict[str, list[str]] = {}
     for row in ranked.select("lang", "n", "body").orderBy("lang", "n").collect():
@@ -206,7 +201,7 @@ def identify(docs: DataFrame, model: LanguageModel, text_col: str = "text") -> D
     kept = [c for c in docs.columns if c != text_col and c.lower() not in ("lang_pred", "score")]
     body = docs.select(*kept, F.coalesce(F.col(text_col), F.lit("")).alias("_body"))
     schema = body.drop("_body").schema.add("lang_pred", "string").add("score", "double")
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # its size is bounded by WORD_CHARS per language
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # its size is bounded by the texts of TRAIN_DOCS rows per language
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         judge = Judge.of(shared.value)
