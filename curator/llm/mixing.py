@@ -46,7 +46,7 @@ def mix_sources(
 
     Sources in code-point order, null last, weigh ``weights`` in turn and share ``share`` times all tokens; no target is above ``cap`` times
     its source's size.  A source's taken tokens add up to its target, rounded; its last document may be taken in part.
-    Row order, partitioning and reruns do not matter: keys are hashes of the id, ties go by id, size and ``tie_col``, so only identical rows
+    Row order, partitioning and reruns do not matter: keys are hashes of the id and of ``tie_col``, ties go by id, size and ``tie_col``, so only identical rows
     can change places.  Null sizes count as zero, null ids are one more id, an empty table gives an empty one.
     Columns that bear an added column's name are replaced.
     """
@@ -55,7 +55,8 @@ def mix_sources(
     base = docs.select(*names).withColumns(
         {
             g: F.when(F.col(source_col).isNull(), "1").otherwise(F.concat(F.lit("0"), F.col(source_col))),
-            key: F.xxhash64(F.lit(seed), F.col(id_col), F.col(id_col).isNull()),
+            # The tie column is part of the key, so rows that share an id, or have none, are dealt to all ranges.
+            key: F.xxhash64(F.lit(seed), F.col(id_col), F.col(id_col).isNull(), *([F.col(tie_col)] if tie_col else [])),
             size: F.coalesce(F.col(size_col).cast("long"), F.lit(0)),
         }
     )
@@ -75,7 +76,11 @@ def mix_sources(
 
 
 def materialize(mixed: DataFrame, text_col: str = "text", size_col: str = "size") -> DataFrame:
-    """The rows of a mix: each document once per whole take, and a last copy cut to the words of a partial take."""
+    """The rows of a mix: each document once per whole take, and a last copy cut to the words of a partial take.
+
+    Rows that the mix takes nothing of go, those of null or empty text among them.  Repeated rows are taken row by row, an empty table gives an empty one, and
+    a cut text of any length keeps its white space up to the last word taken.
+    """
     copies = F.expr(f"CAST(ceil(taken / `{size_col}`) AS INT)")
     turn = free_name("mix_turn", mixed.columns)
     rows = mixed.filter("taken > 0").withColumn(turn, F.explode(F.sequence(F.lit(1), copies)))

@@ -2,7 +2,7 @@
 
 Lineage is cut by writing a Parquet table below ``spark.checkpoint.dir`` (the folder that the
 cluster shares between driver and executors) and reading it back.  Only where that setting is
-absent, as in unit tests, a folder of this driver is used.
+absent and driver and executors are one process, as in unit tests, a folder of this driver is used.
 """
 
 from __future__ import annotations
@@ -22,6 +22,8 @@ def shared_dir(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own:
         _own.append(tempfile.mkdtemp(prefix="curator-scratch-"))
         atexit.register(shutil.rmtree, _own[0], ignore_errors=True)
