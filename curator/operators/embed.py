@@ -13,8 +13,10 @@ from curator.functions.expr import norm
 def hashed_vectors(pairs: DataFrame, dim: int = 64, seed: int = 42, weight: str = "count", column: str = "instr") -> DataFrame:
     """``sample_id, v``: signed hashed bag of tokens of unit length; an empty instruction has the zero vector.
 
-    ``weight``: ``count``, or ``tfidf`` with smoothed document frequencies over the samples.
+    ``weight``: ``count``, or ``tfidf`` with smoothed document frequencies over the samples.  ``column``: ``instr``, ``resp``, or ``both`` one after the other.
     """
+    if column == "both":
+        pairs = pairs.withColumn("both", F.concat("instr", "resp"))
     toks = pairs.select("sample_id", F.explode(column).alias("tok"))
     if weight == "tfidf":
         df = toks.distinct().groupBy("tok").agg(F.count(F.lit(1)).alias("df"))

@@ -44,8 +44,23 @@ def assign(vectors: DataFrame, centroids: Centroids) -> DataFrame:
     return near.select("sample_id", (F.array_position("ds", F.array_min("ds")) - 1).cast("int").alias("cluster_id"), F.sqrt(F.array_min("ds")).alias("dist"), "v")
 
 
-def fit(vectors: DataFrame, k: int = 10, iters: int = 10, init: str = "first", tol: float = 0.0, metric: str = "euclidean", fit_pct: int = 100) -> Centroids:
-    """Centroids after at most ``iters`` rounds, fewer once none moves by more than ``tol``; an empty cluster keeps its centroid."""
+def _means(assigned: DataFrame, update: str, dim: int) -> dict[int, list[float]]:
+    """The mean vector of every cluster that has a member; one row per cluster comes to the driver."""
+    if update == "summarizer":
+        from pyspark.ml.functions import array_to_vector
+        from pyspark.ml.stat import Summarizer
+
+        rows = assigned.groupBy("cluster_id").agg(Summarizer.mean(array_to_vector("v")).alias("m")).collect()
+        return {r.cluster_id: r.m.toArray().tolist() for r in rows}
+    rows = assigned.groupBy("cluster_id").agg(F.array(*(F.avg(F.get("v", F.lit(i))) for i in range(dim))).alias("m")).collect()
+    return {r.cluster_id: list(r.m) for r in rows}
+
+
+def fit(vectors: DataFrame, k: int = 10, iters: int = 10, init: str = "first", tol: float = 0.0, metric: str = "euclidean", fit_pct: int = 100, update: str = "average") -> Centroids:
+    """Centroids after at most ``iters`` rounds, fewer once none moves by more than ``tol``; an empty cluster keeps its centroid.
+
+    ``update``: an ``average`` per dimension, or the library's vector ``summarizer``, for vectors of many dimensions.
+    """
     if fit_pct < 100:
         vectors = vectors.filter(F.pmod(F.xxhash64("sample_id"), F.lit(100)) < fit_pct)
     if metric == "cosine":
@@ -54,10 +69,8 @@ def fit(vectors: DataFrame, k: int = 10, iters: int = 10, init: str = "first", t
     try:
         centroids = initial(vectors, k, init)
         for _ in range(iters):
-            means = assign(vectors, centroids).select("cluster_id", F.posexplode("v").alias("dim", "x")).groupBy("cluster_id", "dim").agg(F.avg("x").alias("x"))
-            after = [list(c) for c in centroids]
-            for r in means.collect():  # k * d rows
-                after[r.cluster_id][r.dim] = r.x
+            means = _means(assign(vectors, centroids), update, max(map(len, centroids), default=0))
+            after = [[x if m is None else m for x, m in zip(c, means.get(i, c), strict=False)] for i, c in enumerate(centroids)]
             if metric == "cosine":
                 after = [[x / size for x in c] if (size := sum(x * x for x in c) ** 0.5) else c for c in after]
             shift = max((abs(a - b) for c, d in zip(centroids, after, strict=True) for a, b in zip(c, d, strict=True)), default=0.0)

@@ -5,30 +5,18 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-RANGES = 4096
-
+from curator.operators.ranks import ranked_in_ranges
 
 def global_rank(rows: DataFrame, key: Column, ties: list[Column]) -> DataFrame:
-    """``rows`` plus ``rank`` (from 0) in the order of ``key``, a double, then ``ties``, without a single-task sort.
-
-    Rows fall into ranges of the key; a prefix sum over the range counts plus a window inside each range gives the rank.
-    """
-    keyed = rows.withColumn("_k", key.cast("double"))
-    edges = keyed.agg(F.min("_k").alias("lo"), F.max("_k").alias("hi")).first()
-    lo, width = edges.lo or 0.0, (edges.hi or 0.0) - (edges.lo or 0.0)
-    cell = F.least(F.floor((F.col("_k") - lo) / F.lit(width or 1.0) * RANGES), F.lit(RANGES - 1)).cast("int")
-    keyed = keyed.withColumn("_c", cell)
-    counts = keyed.groupBy("_c").agg(F.count(F.lit(1)).alias("_n"))
-    counts = counts.select(F.col("_c"), F.coalesce(F.sum("_n").over(Window.orderBy("_c").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_ahead"))
-    inside = Window.partitionBy("_c").orderBy("_k", *ties)
-    return keyed.join(counts, "_c").withColumn("rank", (F.col("_ahead") + F.row_number().over(inside) - 1).cast("long")).drop("_k", "_c", "_ahead")
+    """``rows`` plus ``rank`` (from 0) in the order of ``key``, then ``ties``, without a single-task sort, whatever the distribution of the key."""
+    return ranked_in_ranges(rows, [], [key, *ties]).withColumn("rank", F.col("rank") - 1)
 
 
 def form_batches(lengths: DataFrame, size: int = 256, order: str = "id", seed: int = 42) -> DataFrame:
     """``batch_id, sample_id, n_tokens`` in order of ``id``, seeded ``hash`` or ``length``."""
     key = {
         "id": F.col("sample_id"),
-        "hash": F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("sample_id"))), 1, 12), 16, 10),
+        "hash": F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("sample_id"))), 1, 12), 16, 10).cast("double"),
         "length": F.col("n_tokens"),
     }[order]
     ranked = global_rank(lengths.select("sample_id", F.col("n_tokens").cast("int")), key, [F.col("sample_id")])

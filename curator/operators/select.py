@@ -5,10 +5,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from curator.operators.ranks import ranked_in_ranges
+
 #: Scores are ranked at this many places, so that equal scores computed in another order stay equal.
 PLACES = 9
-#: Score buckets per cluster of the threshold plan.
-BUCKETS = 4096
+#: Cuts that the approximate plan can choose from, and the accuracy of its sketch.
+STEPS, ACCURACY = 1000, 10_000
 
 
 def quotas(sizes: DataFrame, rate_pct: int | None = None, budget: int | None = None, rounding: str = "ceil", count: int | None = None) -> DataFrame:
@@ -23,7 +25,9 @@ def quotas(sizes: DataFrame, rate_pct: int | None = None, budget: int | None = N
     if budget is not None or rounding == "largest_remainder":
         goal = F.least(F.lit(budget), total) if budget is not None else F.expr(f"(sum(n) over () * {rate_pct} + 99) div 100")
         share = sizes.withColumn("goal", goal).withColumn("total", total)
-        share = share.withColumn("low", F.expr("n * goal div total")).withColumn("rest", F.expr("n * goal % total"))
+        # Products of two counts leave the range of a long from some 10^9 samples on.
+        product = F.col("n").cast("decimal(19,0)") * F.col("goal").cast("decimal(19,0)")
+        share = share.withColumn("_p", product).withColumn("low", F.expr("_p div total")).withColumn("rest", F.expr("_p % total"))
         spare = F.col("goal") - F.sum("low").over(whole)
         turn = F.row_number().over(Window.orderBy(F.desc("rest"), "cluster_id"))
         return share.select("cluster_id", "n", (F.col("low") + F.when(turn <= spare, 1).otherwise(0)).cast("long").alias("quota"))
@@ -45,30 +49,31 @@ def top_of_cluster(rows: DataFrame, order: list[Column], **quota) -> DataFrame:
 
 
 def top_by_threshold(rows: DataFrame, value: str = "ifd", descending: bool = True, **quota) -> DataFrame:
-    """The same rows as ``top_of_cluster`` (without a full sort of a cluster), by a histogram.
+    """The same rows as ``top_of_cluster``, with ranks from balanced ranges in place of a sort of each cluster in one task."""
+    sizes = rows.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"))
+    ranked = ranked_in_ranges(rows, ["cluster_id"], _order(F.col(value), descending))
+    return ranked.join(quotas(sizes, **quota).select("cluster_id", "quota"), "cluster_id").filter(F.col("rank") <= F.col("quota")).select(*rows.columns, "rank")
+
+
+def top_approximately(rows: DataFrame, value: str = "ifd", descending: bool = True, **quota) -> DataFrame:
+    """About each cluster's quota, by a cut from a mergeable sketch of its scores, without any sort; ``rank`` is null.
 
-    Scores fall into buckets between a cluster's extremes; the bucket in which the quota runs out is found by prefix sums over at most
-    clusters times buckets rows, everything above it is kept and only that bucket is sorted.
+    A cluster of n rows keeps its quota to within n / STEPS + 2 n / ACCURACY rows, and those more that have the cut's score.
     """
-    key = F.round(F.col(value), PLACES) * (1 if descending else -1)
-    keyed = rows.withColumn("_x", key)
-    edges = keyed.groupBy("cluster_id").agg(F.max("_x").alias("hi"), F.min("_x").alias("lo"), F.count(F.lit(1)).alias("n"))
-    edges = quotas(edges, **quota).join(edges.select("cluster_id", "hi", "lo"), "cluster_id") if "hi" not in quotas(edges, **quota).columns else quotas(edges, **quota)
-    width = F.col("hi") - F.col("lo")
-    bucket = F.when(width > 0, F.least(F.floor((F.col("hi") - F.col("_x")) / width * BUCKETS), F.lit(BUCKETS - 1))).otherwise(0).cast("int")
-    placed = keyed.join(edges.select("cluster_id", "hi", "lo", "quota"), "cluster_id").withColumn("_b", bucket)
-    counts = placed.groupBy("cluster_id", "_b", "quota").agg(F.count(F.lit(1)).alias("c"))
-    before = Window.partitionBy("cluster_id").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
-    counts = counts.withColumn("ahead", F.coalesce(F.sum("c").over(before), F.lit(0))).filter(F.col("ahead") < F.col("quota")).select("cluster_id", "_b", "ahead")
-    inside = Window.partitionBy("cluster_id", "_b").orderBy(F.desc("_x"), "sample_id")
-    ranked = placed.join(counts, ["cluster_id", "_b"]).withColumn("rank", (F.col("ahead") + F.row_number().over(inside)).cast("long"))
-    return ranked.filter(F.col("rank") <= F.col("quota")).select(*rows.columns, "rank")
+    keyed = rows.withColumn("_x", F.round(F.col(value), PLACES) * (1 if descending else -1))
+    fractions = [i / STEPS for i in range(STEPS + 1)]
+    sketch = keyed.groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("_x", fractions, ACCURACY).alias("_q"))
+    wanted = quotas(sketch.select("cluster_id", "n"), **quota).join(sketch.select("cluster_id", "_q", F.col("n").alias("_n")), "cluster_id")
+    place = F.greatest(F.lit(1), F.least(F.lit(STEPS + 1), F.round((1 - F.col("quota") / F.col("_n")) * STEPS).cast("int") + 1))
+    cut = wanted.filter("quota > 0").select("cluster_id", F.when(F.col("quota") < F.col("_n"), F.element_at("_q", place)).alias("_cut"))
+    kept = keyed.join(cut, "cluster_id").filter(F.col("_cut").isNull() | (F.col("_x") >= F.col("_cut")))
+    return kept.select(*rows.columns, F.lit(None).cast("long").alias("rank"))
 
 
 def select_stratified(scored: DataFrame, rate_pct: int | None = 40, plan: str = "window", order: str = "desc", eligible: DataFrame | None = None, max_ifd: float | None = None, **quota) -> DataFrame:
     """``sample_id, cluster_id, ifd, rank`` of the hardest share of every cluster of ``scored``.
 
-    ``plan``: ``window`` sorts each cluster, ``threshold`` sorts one score bucket of each, ``approx`` cuts at approximate percentiles (and may keep a few more or
+    ``plan``: ``window`` sorts each cluster, ``threshold`` sorts balanced ranges of all rows, ``approx`` cuts at approximate percentiles (and may keep a few more or
     less).  ``eligible`` holds the ids that may be chosen; ``max_ifd`` leaves out scores from there on.
     """
     rows = scored.select("sample_id", "cluster_id", "ifd")
@@ -81,8 +86,7 @@ def select_stratified(scored: DataFrame, rate_pct: int | None = 40, plan: str =
     if plan == "threshold":
         return top_by_threshold(rows, "ifd", order == "desc", **quota)
     if plan == "approx":
-        cut = rows.groupBy("cluster_id").agg(F.percentile_approx("ifd", 1 - rate_pct / 100, 10_000).alias("cut"))
-        return rows.join(cut, "cluster_id").filter(F.col("ifd") >= F.col("cut")).select("sample_id", "cluster_id", "ifd", F.lit(None).cast("long").alias("rank"))
+        return top_approximately(rows, "ifd", order == "desc", **quota)
     return top_of_cluster(rows, _order(F.col("ifd"), order == "desc"), **quota)
 
 

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from curator.functions.expr import cosine, dot, norm, squared_distance, tokens
 from curator.operators import embed, evaluate, kmeans, packing, samples, scoring, select
 from curator.plans import oracles as o
+from curator.sources.checkpoints import stage
 from curator.sources.tables import page_text, read_table
 
 K, ITERS = 10, 10
@@ -44,17 +45,18 @@ def scores(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:
     return scoring.difficulty(logprobs(spark, d, data))
 
 
-def vectors(spark: SparkSession, d: str, data: str = "pairs", weight: str = "count") -> DataFrame:
-    return embed.hashed_vectors(pairs(spark, d, data), weight=weight)
+def vectors(spark: SparkSession, d: str, data: str = "pairs", weight: str = "count", column: str = "instr") -> DataFrame:
+    return embed.hashed_vectors(pairs(spark, d, data), weight=weight, column=column)
 
 
 def clusters(spark: SparkSession, d: str, data: str = "pairs", k: int = K, init: str = "first") -> DataFrame:
-    v = vectors(spark, d, data)
+    v = stage(vectors(spark, d, data), "vectors")
     return kmeans.assign(v, kmeans.fit(v, k, ITERS, init)).drop("v")
 
 
 def scored(spark: SparkSession, d: str, data: str = "pairs", k: int = K) -> DataFrame:
-    return scores(spark, d, data).select("sample_id", "ifd").join(clusters(spark, d, data, k), "sample_id")
+    """``sample_id, ifd, cluster_id, dist``, stored: every selection and measure behind it reads one narrow table."""
+    return stage(scores(spark, d, data).select("sample_id", "ifd").join(clusters(spark, d, data, k), "sample_id"), "scored")
 
 
 def lengths(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:
@@ -175,7 +177,7 @@ def _render(s: SparkSession, d: str) -> DataFrame:
 
 def _end_to_end(s: SparkSession, d: str) -> DataFrame:
     kept = select.select_stratified(scored(s, d), plan="threshold")
-    chosen = lengths(s, d).join(kept.select("sample_id"), "sample_id", "left_semi")
+    chosen = stage(lengths(s, d), "lengths").join(kept.select("sample_id"), "sample_id", "left_semi")
     return packing.segments(packing.dynamic_pack(packing.form_batches(chosen), 4096))
 
 
@@ -204,6 +206,7 @@ QUERIES = {
     "vector_ops": _vector_ops,
     "kmeans_centroids": _centroids,
     "kmeans_assign": _given_assign,
+    "kmeans_assign_summarizer": partial(_given_assign, update="summarizer"),
     "kmeans_assign_hash_init": partial(_given_assign, init="hash"),
     "kmeans_assign_farthest_init": partial(_given_assign, init="farthest"),
     "kmeans_assign_cosine": partial(_given_assign, metric="cosine"),
@@ -339,6 +342,8 @@ SELECT sample_id, array_to_string(past, chr(10)) AS instruction, response FROM t
   round(list_sum(list_transform(list_zip(a.v, b.v), lambda p: (p[1] - p[2]) * (p[1] - p[2]))), 6) AS l2sq, round(list_cosine_similarity(a.v, b.v), 6) AS cos FROM v a JOIN v b ON b.vec_id = a.vec_id + 1""",
     "kmeans_centroids": o.sql(_GIVEN, "SELECT cluster_id, (generate_subscripts(c, 1) - 1)::INTEGER AS dim, round(unnest(c), 6) AS x FROM cen"),
     "kmeans_assign": o.sql(_GIVEN, _ASSIGN),
+    "kmeans_assign_summarizer": o.sql(_GIVEN, _ASSIGN),
+    "kmeans_assign_summarizer": partial(_given_assign, update="summarizer"),
     "kmeans_assign_hash_init": o.sql(o.GIVEN | o.kmeans(order="md5(sample_id::VARCHAR), sample_id"), _ASSIGN),
     "kmeans_assign_pairs": o.sql(o.PAIRS | o.EMBED | o.kmeans(), _ASSIGN),
     "kmeans_report": o.sql(o.PAIRS | o.EMBED | o.kmeans(), "SELECT cluster_id, count(*) AS n, round(sum(dist * dist), 6) AS sse, round(avg(dist), 6) AS mean_dist FROM cl GROUP BY cluster_id"),

@@ -6,6 +6,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from curator.operators.ranks import ranked_in_ranges
 from curator.operators import embed, kmeans, packing, samples, scoring, select
 
 
@@ -114,10 +115,76 @@ def test_empty_pairs(spark):
     assert packing.dynamic_pack(packing.form_batches(samples.sample_lengths(pairs))).count() == 0
 
 
-def test_threshold_plan_has_no_single_task_sort_of_samples(spark):
-    rows = spark.createDataFrame([(1, 0, 1.0)], "sample_id long, cluster_id int, ifd double")
-    plan = select.select_stratified(rows, 40, plan="threshold")._jdf.queryExecution().optimizedPlan().toString()
-    assert "Python" not in plan
+def _skewed(spark, n=4000):
+    """Nearly all rows in one cluster, with one outlying score and a score that half of the rows have."""
+    rows = [(i, 0 if i % 50 else 1, 1e9 if i == 7 else 0.5 if i % 2 else (i * 7919 % 1000) / 1000) for i in range(n)]
+    return spark.createDataFrame(rows, "sample_id long, cluster_id int, ifd double").repartition(6)
+
+
+def test_threshold_plan_deals_a_hot_cluster_and_score_evenly(spark):
+    rows = _skewed(spark)
+    for quota in ({"rate_pct": 40}, {"budget": 777}, {"count": 30}):
+        for order in ("desc", "asc"):
+            a, b = (sorted(map(tuple, select.select_stratified(rows, plan=p, order=order, **quota).select("sample_id", "cluster_id", "rank").collect())) for p in ("window", "threshold"))
+            assert a == b and a
+    sizes = ranked_in_ranges(rows, ["cluster_id"], [F.col("ifd"), F.col("sample_id")])
+    assert sizes.select("cluster_id", "rank").distinct().count() == 4000
+    wide = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        dealt = rows.repartitionByRange("cluster_id", "ifd", "sample_id").groupBy(F.spark_partition_id()).count().agg(F.max("count")).first()[0]
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", wide)
+    assert dealt < 2000  # of 4,000 rows over four partitions
+
+
+def test_threshold_plan_sorts_stored_ranges_only(spark):
+    plan = select.select_stratified(_skewed(spark), 40, plan="threshold")._jdf.queryExecution().optimizedPlan().toString()
+    assert "Python" not in plan and plan.count("Window") == 1 and "row_number" not in plan  # the window adds up one row per range
+
+
+def test_approximate_plan_keeps_the_quota_within_its_bound(spark):
+    rows = spark.createDataFrame([(i, i % 3, (i * 7919 % 6007) / 6007) for i in range(6000)], "sample_id long, cluster_id int, ifd double")
+    slack = 2000 / select.STEPS + 2 * 2000 / select.ACCURACY + 1
+    for quota, want in (({"rate_pct": 40}, 800), ({"budget": 300}, 100), ({"count": 50}, 50), ({"rate_pct": 100}, 2000), ({"count": 0}, 0)):
+        for order in ("desc", "asc"):
+            kept = select.select_stratified(rows, plan="approx", order=order, **quota)
+            got = {r.cluster_id: r for r in kept.groupBy("cluster_id").agg(F.count("*").alias("n"), F.min("ifd").alias("lo"), F.max("ifd").alias("hi")).collect()}
+            assert all(abs((got[c].n if c in got else 0) - want) <= slack for c in range(3)), (quota, order)
+            if 0 < want < 2000:
+                assert all(r.lo > 0.5 if order == "desc" else r.hi < 0.5 for r in got.values())
+
+
+def test_quotas_of_very_many_samples(spark):
+    sizes = spark.createDataFrame([(0, 10**10), (1, 5 * 10**9), (2, 3 * 10**11)], "cluster_id int, n long")
+    got = {r.cluster_id: r.quota for r in select.quotas(sizes, budget=6 * 10**9).collect()}
+    assert sum(got.values()) == 6 * 10**9 and abs(got[2] - 6 * 10**9 * 300 / 315) <= 1
+    assert sum(r.quota for r in select.quotas(sizes, rate_pct=40, rounding="largest_remainder").collect()) == 126 * 10**9
+
+
+def test_global_rank_of_equal_and_outlying_lengths(spark):
+    rows = spark.createDataFrame([(i, 10**6 if i == 3 else 512 if i % 3 else i % 40) for i in range(3000)], "sample_id long, n_tokens int").repartition(5)
+    got = packing.global_rank(rows, F.col("n_tokens"), [F.col("sample_id")]).collect()
+    order = sorted((r.n_tokens, r.sample_id) for r in got)
+    assert [r.rank for r in sorted(got, key=lambda r: (r.n_tokens, r.sample_id))] == list(range(3000)) and order[-1] == (10**6, 3)
+
+
+def test_kmeans_updates_agree(spark, sf):
+    v = embed.table_vectors(spark.read.parquet(f"{sf}/embeddings.parquet"))
+    a, b = (kmeans.fit(v, 4, 3, update=u) for u in ("average", "summarizer"))
+    assert all(x == pytest.approx(y) for c, d in zip(a, b, strict=True) for x, y in zip(c, d, strict=True))
+    far = [[0.0, 0.0], [1.0, 1.0], [50.0, 50.0]]
+    points = spark.createDataFrame([(i, p) for i, p in enumerate([[0.0, 0.0], [1.0, 1.0], [0.0, 0.0], [1.0, 1.0]])], "sample_id long, v array<double>")
+    assert kmeans.fit(points, 3, 5)[2] == [0.0, 0.0] and len(far) == 3  # an empty cluster keeps its centroid
+    assert kmeans.fit(points, 2, 50, tol=0.0) == kmeans.fit(points, 2, 1)  # nothing moves after the first round
+    assert 0 < len(kmeans.fit(v, 4, 2, fit_pct=30)) <= 4
+
+
+def test_embeddings_of_instruction_and_response(spark):
+    pairs = spark.createDataFrame([(1, ["a"], ["b"]), (2, ["a"], [])], "sample_id long, instr array<string>, resp array<string>")
+    both = {r.sample_id: r.v for r in embed.hashed_vectors(pairs, 16, column="both").collect()}
+    alone = {r.sample_id: r.v for r in embed.hashed_vectors(pairs, 16).collect()}
+    assert both[2] == alone[2] and both[1] != alone[1]
 
 
 def test_subword_mode_equals_the_library(spark, sf):
