@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from curator.operators.scoring import START, NGramScorer
+from curator.operators.scoring import BIGRAM, HISTORY, START, UNIFORM, UNIGRAM, UNKNOWN, NGramScorer
 
 
 def pass_at_1(results: DataFrame, by: str = "suite", passed: str = "base_pass") -> DataFrame:
@@ -42,3 +42,33 @@ def heldout_quality(train: DataFrame, heldout: DataFrame) -> tuple[DataFrame, Da
     pairs = heldout.select(F.explode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.col("t")).alias("prev"), F.col("t").alias("tok"))).alias("p")).select("p.prev", "p.tok").filter("tok is not null")
     hits = pairs.join(guess, "prev", "left").agg(F.avg((F.coalesce("guess", F.lit("")) == F.col("tok")).cast("int")).alias("value"))
     return ppl, hits
+
+
+def heldout_by_variant(train: DataFrame, heldout: DataFrame, variants: list[str]) -> DataFrame:
+    """``variant, heldout_ppl, greedy_accuracy``: the measures of ``heldout_quality`` for one model per ``variant`` of ``train``, in one plan.
+
+    ``train``: ``variant, t``; ``heldout``: ``id, t``.  Models are counted side by side, so a sweep reads its samples once; ``variants`` names all of them.
+    """
+    toks = train.select("variant", "t").filter(F.size("t") > 0)
+    counts = toks.select("variant", F.explode("t").alias("tok")).groupBy("variant", "tok").agg(F.count(F.lit(1)).alias("n"))
+    sizes = counts.groupBy("variant").agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("v"))
+    step = F.explode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.col("t")).alias("prev"), F.col("t").alias("tok"))).alias("p")
+    big = toks.select("variant", step).filter("p.tok is not null").groupBy("variant", "p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n"))
+    heads = big.groupBy("variant", "prev").agg(F.sum("n").alias("c"))
+    follow = big.join(heads, ["variant", "prev"]).select("variant", "prev", "tok", (F.col("n") / F.col("c")).alias("p_big"))
+    every = F.explode(F.array(*(F.lit(v) for v in variants))).alias("variant")
+    rows = heldout.select("id", F.posexplode("t").alias("g", "raw")).select("*", every)
+    known = rows.join(counts.join(sizes, "variant").select("variant", F.col("tok").alias("raw"), "tok", (F.col("n") / F.col("total")).alias("p_uni")), ["variant", "raw"], "left")
+    known = known.select("variant", "id", "g", F.coalesce("tok", F.lit(UNKNOWN)).alias("w"), F.coalesce("p_uni", F.lit(0.0)).alias("p_uni"))
+    text = Window.partitionBy("variant", "id").orderBy("g")
+    again = Window.partitionBy("variant", "id", "w").orderBy("g")
+    known = known.select("*", F.coalesce(F.lag("w").over(text), F.lit(START)).alias("p"), (F.row_number().over(again) - 1).alias("seen"))
+    looked = known.join(follow.select("variant", F.col("prev").alias("p"), F.col("tok").alias("w"), "p_big"), ["variant", "p", "w"], "left")
+    looked = looked.join(heads.select("variant", F.col("prev").alias("p"), F.lit(True).alias("is_context")), ["variant", "p"], "left").join(sizes.select("variant", "v"), "variant")
+    chance = F.when(F.col("is_context"), F.coalesce("p_big", F.lit(0.0))).otherwise(F.col("p_uni"))
+    share = F.when(F.col("g") > 0, HISTORY * F.col("seen") / F.col("g")).otherwise(HISTORY * F.col("p_uni"))
+    ppl = looked.groupBy("variant").agg(F.exp(-F.avg(F.log(BIGRAM * chance + UNIGRAM * F.col("p_uni") + UNIFORM / (F.col("v") + 1) + share))).alias("heldout_ppl"))
+    guess = follow.groupBy("variant", "prev").agg(F.min(F.struct((-F.round("p_big", 9)).alias("p"), "tok"))["tok"].alias("guess"))
+    pairs = heldout.select(step).select("p.prev", "p.tok").filter("tok is not null").select("*", every)
+    hits = pairs.join(guess, ["variant", "prev"], "left").groupBy("variant").agg(F.avg((F.coalesce("guess", F.lit("")) == F.col("tok")).cast("int")).alias("greedy_accuracy"))
+    return ppl.join(hits, "variant")

@@ -6,6 +6,7 @@ greedy next-token accuracy.  The numbers show that the pipeline computes, not th
 
 from __future__ import annotations
 
+import re
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -14,10 +15,12 @@ from pyspark.sql import functions as F
 from curator.operators import evaluate, kmeans, packing, select
 from curator.plans import methods as m
 from curator.plans import oracles as o
+from curator.sources.checkpoints import stage
 from curator.sources.tables import read_table
 
 RATES = (10, 20, 30, 40, 50, 60)
 PAD_CONTEXTS, PAD_SIZES = (512, 1024, 4096), (16, 64, 256)
+STRATEGIES = ("random", "difficulty", "kmeans", "combined")
 TIDY = ("dataset", "model", "strategy", "rate_pct", "metric", "value")
 
 
@@ -33,22 +36,51 @@ def heldout_split(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _as_model(df: DataFrame, model: str) -> DataFrame:
+    """``id, t``: the tokens that a model sees; pairs of neighbouring characters for ``char``, so that two characters predict the third."""
     both = F.concat("instr", "resp")
-    return df.select(F.col("sample_id").alias("id"), (both if model == "word" else F.filter(F.split(F.array_join(both, " "), ""), lambda c: c != "")).alias("t"))
+    if model == "word":
+        return df.select(F.col("sample_id").alias("id"), both.alias("t"))
+    chars = df.select(F.col("sample_id").alias("id"), F.explode(F.array(F.filter(F.split(F.array_join(both, " "), ""), lambda c: c != ""))).alias("c"))
+    n = F.greatest(F.size("c") - 1, F.lit(0))
+    return chars.select("id", F.zip_with(F.slice("c", F.lit(1), n), F.slice("c", F.lit(2), n), lambda x, y: F.concat(x, y)).alias("t"))
 
 
-def evaluated(train: DataFrame, heldout: DataFrame, model: str, **labels) -> DataFrame:
-    """Tidy rows of the two measures of a model of ``train``."""
-    ppl, acc = evaluate.heldout_quality(_as_model(train, model), _as_model(heldout, model))
-    tags = [F.lit(v).alias(k) for k, v in (labels | {"model": model}).items()]
-    return union([ppl.select(*tags, F.lit("heldout_ppl").alias("metric"), "value"), acc.select(*tags, F.lit("greedy_accuracy").alias("metric"), "value")]).select(*TIDY)
+def evaluated(train: DataFrame, members: DataFrame, held: DataFrame, data: str, model: str, variants: list[str], base: DataFrame | None = None) -> DataFrame:
+    """Tidy rows of the held-out measures of one model per variant, ``strategy:rate``, of ``members`` (``sample_id, variant``).
+
+    ``base``: samples of the other data set, of which a model that was not tuned is made (``none:0``).
+    """
+    toks = _as_model(train, model).join(members.select(F.col("sample_id").alias("id"), "variant"), "id").select("variant", "t")
+    if base is not None:
+        toks, variants = toks.unionByName(_as_model(base, model).select(F.lit("none:0").alias("variant"), "t")), [*variants, "none:0"]
+    rows = evaluate.heldout_by_variant(toks, _as_model(held, model), variants)
+    label = F.split("variant", ":")
+    values = F.explode(F.array(*(F.struct(F.lit(m).alias("metric"), F.col(m).alias("value")) for m in ("heldout_ppl", "greedy_accuracy")))).alias("m")
+    return rows.select(F.lit(data).alias("dataset"), F.lit(model).alias("model"), label[0].alias("strategy"), label[1].cast("int").alias("rate_pct"), values).select("dataset", "model", "strategy", "rate_pct", "m.metric", "m.value")
 
 
 def _prepared(s: SparkSession, d: str, data: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    pairs = m.pairs(s, d, data).persist()
-    train, held = heldout_split(pairs)
-    rows = m.scored(s, d, data).join(train.select("sample_id"), "sample_id", "left_semi").persist()
-    return train, held, rows
+    """Training and held-out samples, and the scores of the training samples."""
+    train, held = heldout_split(stage(m.pairs(s, d, data), "samples"))
+    return train, held, m.scored(s, d, data).join(train.select("sample_id"), "sample_id", "left_semi")
+
+
+def _rates(rows: DataFrame, rates: tuple[int, ...]) -> DataFrame:
+    """``sample_id, variant``: all samples (``full:100``) and the hardest share of every cluster at each rate, from one ranking."""
+    kept = _by_rate(select.rank_profile(rows), rates).select("sample_id", F.concat(F.lit("combined:"), F.col("rate_pct")).alias("variant"))
+    return stage(kept.unionByName(rows.select("sample_id", F.lit("full:100").alias("variant"))), "variants")
+
+
+def _swept(s: SparkSession, d: str, rates: tuple[int, ...], untuned: bool) -> DataFrame:
+    ready = {data: _prepared(s, d, data) for data in ("pairs", "documents")}
+    parts = []
+    for data, (train, held, rows) in ready.items():
+        members = _rates(rows, rates)
+        other = ready["documents" if data == "pairs" else "pairs"][0]
+        for model in ("word", "char"):
+            # A few rows each, stored, so that the plans of the grid do not add up.
+            parts.append(stage(evaluated(train, members, held, data, model, ["full:100", *(f"combined:{r}" for r in rates)], other if untuned else None), "measures"))
+    return union(parts)
 
 
 def _strategies(rows: DataFrame, rate: int) -> dict[str, DataFrame]:
@@ -61,45 +93,50 @@ def _strategies(rows: DataFrame, rate: int) -> dict[str, DataFrame]:
 
 
 def main_results(s: SparkSession, d: str) -> DataFrame:
-    """Full data against 40 and 30 percent on two data sets with two models."""
-    parts = []
-    for data in ("pairs", "documents"):
-        train, held, rows = _prepared(s, d, data)
-        for rate in (100, 40, 30):
-            sub = train if rate == 100 else train.join(select.select_stratified(rows, rate).select("sample_id"), "sample_id", "left_semi")
-            parts += [evaluated(sub, held, model, dataset=data, strategy="full" if rate == 100 else "combined", rate_pct=rate) for model in ("word", "char")]
-    return m.six(union(parts))
+    """No tuning, full data, 40 and 30 percent, on two data sets with two models.
+
+    Who is not tuned on a data set has seen the training samples of the other one only.
+    """
+    return m.six(_swept(s, d, (40, 30), True))
+
+
+def _ablated(s: SparkSession, d: str, data: str, rate: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Measures of the four strategies, the scores, and ``sample_id, strategy`` of what they choose."""
+    train, held, rows = _prepared(s, d, data)
+    member = stage(union([v.select("sample_id", F.lit(k).alias("strategy")) for k, v in _strategies(rows, rate).items()]), "strategies")
+    labelled = member.select("sample_id", F.concat("strategy", F.lit(f":{rate}")).alias("variant"))
+    return stage(evaluated(train, labelled, held, data, "word", [f"{k}:{rate}" for k in STRATEGIES]), "measures"), rows, member
 
 
 def strategy_ablation(s: SparkSession, d: str) -> DataFrame:
     """Four strategies, pairs at 40 and documents at 30 percent: held-out measures, shift of the mix, difficulty."""
     parts = []
     for data, rate in (("pairs", 40), ("documents", 30)):
-        train, held, rows = _prepared(s, d, data)
-        for name, sub in _strategies(rows, rate).items():
-            picked = rows.join(sub.select("sample_id"), "sample_id", "left_semi")
-            tags = dict(dataset=data, strategy=name, rate_pct=rate)
-            parts.append(evaluated(train.join(sub.select("sample_id"), "sample_id", "left_semi"), held, "word", **tags))
-            lits = [F.lit(v).alias(k) for k, v in (tags | {"model": "word"}).items()]
-            parts.append(select.consistency(rows, picked).select(*lits, F.lit("tv").alias("metric"), F.col("tv").alias("value")).select(*TIDY))
-            parts.append(picked.agg(F.avg("ifd").alias("value")).select(*lits, F.lit("mean_ifd").alias("metric"), "value").select(*TIDY))
-    return m.six(union(parts))
+        measures, rows, member = _ablated(s, d, data, rate)
+        parts.append(measures)
+        picked = member.join(rows, "sample_id")
+        tags = [F.lit(data).alias("dataset"), F.lit("word").alias("model"), "strategy", F.lit(rate).alias("rate_pct")]
+        parts.append(picked.groupBy("strategy").agg(F.avg("ifd").alias("value")).select(*tags, F.lit("mean_ifd").alias("metric"), "value"))
+        for name in STRATEGIES:
+            parts.append(select.consistency(rows, picked.filter(F.col("strategy") == name)).withColumn("strategy", F.lit(name)).select(*tags, F.lit("tv").alias("metric"), F.col("tv").alias("value")))
+    return m.six(union(parts).select(*TIDY))
 
 
 def rate_sweep(s: SparkSession, d: str) -> DataFrame:
-    """Held-out measures of nested subsets of one ranking, 10 to 60 percent, against full data."""
-    train, held, rows = _prepared(s, d, "pairs")
-    ranked = select.rank_profile(rows).persist()
-    parts = [evaluated(train, held, "word", dataset="pairs", strategy="full", rate_pct=100)]
-    for rate in RATES:
-        ids = ranked.filter(F.expr(f"rank <= (n * {rate} + 99) div 100")).select("sample_id")
-        parts.append(evaluated(train.join(ids, "sample_id", "left_semi"), held, "word", dataset="pairs", strategy="combined", rate_pct=rate))
-    return m.six(union(parts))
+    """Held-out measures of nested subsets of one ranking, 10 to 60 percent, against full data, on two data sets with two models."""
+    return m.six(_swept(s, d, RATES, False))
+
 
+def best_rates(s: SparkSession, d: str) -> DataFrame:
+    """The rate of the lowest held-out perplexity for each data set and model, and that of full data."""
+    rows = rate_sweep(s, d).filter("metric = 'heldout_ppl'")
+    part = F.when(F.col("strategy") == "combined", F.struct("value", "rate_pct"))
+    return rows.groupBy("dataset", "model").agg(F.min(part)["rate_pct"].alias("best_rate"), F.min(part)["value"].alias("at_best"), F.max(F.when(F.col("strategy") == "full", F.col("value"))).alias("at_full"))
 
-def _by_rate(ranked: DataFrame) -> DataFrame:
-    rates = F.explode(F.array(*(F.lit(r) for r in RATES))).alias("rate_pct")
-    return ranked.select("*", rates).filter(F.expr("rank <= (n * rate_pct + 99) div 100"))
+
+def _by_rate(ranked: DataFrame, rates: tuple[int, ...] = RATES) -> DataFrame:
+    every = F.explode(F.array(*(F.lit(r) for r in rates))).alias("rate_pct")
+    return ranked.select("*", every).filter(F.expr("rank <= (n * rate_pct + 99) div 100"))
 
 
 def rate_sweep_sizes(s: SparkSession, d: str) -> DataFrame:
@@ -107,7 +144,9 @@ def rate_sweep_sizes(s: SparkSession, d: str) -> DataFrame:
 
 
 def rate_score_corr(s: SparkSession, d: str) -> DataFrame:
-    return m.six(rate_sweep_sizes(s, d).agg(F.corr("rate_pct", "mean_ifd").alias("r")))
+    """Correlation of the rate with each held-out measure, over the subsets of a sweep."""
+    rows = rate_sweep(s, d).filter("strategy = 'combined'")
+    return m.six(rows.groupBy("dataset", "model", "metric").agg(F.corr("rate_pct", "value").alias("r")))
 
 
 def redundancy_by_rate(s: SparkSession, d: str) -> DataFrame:
@@ -195,20 +234,22 @@ def strategy_overlap(s: SparkSession, d: str) -> DataFrame:
 
 def _heldout(s: SparkSession, d: str, metric: str) -> DataFrame:
     train, held, rows = _prepared(s, d, "pairs")
-    sub = train.join(select.select_stratified(rows, 40).select("sample_id"), "sample_id", "left_semi")
-    return m.six(evaluated(sub, held, "word", dataset="pairs", strategy="combined", rate_pct=40).filter(F.col("metric") == metric).select("metric", "value"))
+    members = select.select_stratified(rows, 40).select("sample_id", F.lit("combined:40").alias("variant"))
+    return m.six(evaluated(train, members, held, "pairs", "word", ["combined:40"]).filter(F.col("metric") == metric).select("metric", "value"))
 
 
 def best_strategy(s: SparkSession, d: str) -> DataFrame:
-    """The strategy of the largest difficulty gain within 40 percent on the pairs."""
-    rows = m._complexity(s, d).select(F.lit("pairs").alias("dataset"), F.lit("word").alias("model"), "strategy", "rate_pct", F.col("mean_ifd").alias("value"))
-    return evaluate.best_strategy(rows, 40)
+    """The strategy of the lowest held-out perplexity within 40 percent on each data set."""
+    rows = union([_ablated(s, d, data, rate)[0] for data, rate in (("pairs", 40), ("documents", 30))]).filter("metric = 'heldout_ppl'")
+    best = evaluate.best_strategy(m.six(rows).withColumn("value", -F.col("value")), 40)
+    return best.select("dataset", "model", "strategy", (-F.col("value")).alias("heldout_ppl"))
 
 
 QUERIES = {
     "main_results": main_results,
     "strategy_ablation": strategy_ablation,
     "rate_sweep": rate_sweep,
+    "best_rates": best_rates,
     "rate_sweep_sizes": rate_sweep_sizes,
     "rate_score_corr": rate_score_corr,
     "redundancy_by_rate": redundancy_by_rate,
@@ -225,33 +266,108 @@ _RATES_SQL = "(SELECT unnest([10, 20, 30, 40, 50, 60]) AS rate_pct)"
 _SWEEP = f"SELECT rate_pct::INTEGER AS rate_pct, count(*) AS n, round(avg(ifd), 6) AS mean_ifd FROM ({o.ranked()}) CROSS JOIN {_RATES_SQL} WHERE rank <= (n * rate_pct + 99) // 100 GROUP BY 1"
 _DOC_ALL = {"dt": o.DOC_PAIRS["dt"], "tp": o.DOC_PAIRS["dp"]} | o.NGRAM | o.EMBED | o.kmeans() | o.SCORED
 _FOLD = "('0x' || substr(md5(sample_id::VARCHAR), 1, 4))::INTEGER % 5"
-_TRAIN = {
-    "kept": o.chosen(40, where=f"{_FOLD} <> 0"),
-    "tr": "SELECT list_concat(instr, resp) AS t FROM tp SEMI JOIN kept USING (sample_id)",
-    "hd": f"SELECT sample_id, list_concat(instr, resp) AS t FROM tp WHERE {_FOLD} = 0",
+_TRAINED = o.SCORED["scored"] + f" WHERE {_FOLD} <> 0"
+_CHARS = "(SELECT sample_id, string_split(array_to_string(list_concat(instr, resp), ' '), '') AS c FROM tp)"
+_TOKENS = {
+    "word": "SELECT sample_id, list_concat(instr, resp) AS t FROM tp",
+    "char": f"SELECT sample_id, CASE WHEN len(c) > 1 THEN list_transform(list_zip(c[:-2], c[2:]), lambda p: p[1] || p[2]) ELSE [] END AS t FROM {_CHARS}",
 }
 
 
-def _renamed(parts: dict[str, str]) -> dict[str, str]:
-    """The n-gram tables and scores of ``tr`` over ``hd``, under names of their own."""
-    import re
+def _prefixed(parts: dict[str, str], prefix: str) -> dict[str, str]:
+    """The tables of ``parts`` under names of their own; whatever else they read keeps its name."""
+    names = "|".join(sorted(parts, key=len, reverse=True))
+    return {prefix + k: re.sub(rf"\b({names})\.", rf"{prefix}\1.", re.sub(rf"\b(FROM|JOIN) ({names})\b", rf"\1 {prefix}\2", body)) for k, body in parts.items()}
 
-    names = list(o.NGRAM)
-    out = {}
-    for k in names[1:]:
-        body = o.NGRAM[k]
-        if k == "raw":
-            body = "SELECT sample_id, 0 AS ni, unnest(generate_series(0, len(t) - 1)) AS g, unnest(t) AS tok FROM hd"
-        for n in names[1:]:
-            body = re.sub(rf"\b(FROM|JOIN) {n}\b", rf"\1 e_{n}", body)
-            body = re.sub(rf"\b{n}\.", f"e_{n}.", body)
-        out[f"e_{k}"] = re.sub(r"\bFROM ct\b", "FROM tr", body)
-    return parts | out
+
+def _measured(model: str, base: str | None = None) -> dict[str, str]:
+    """Needs ``tp`` and ``member`` (sample_id, variant); ends in ``measures`` (variant, metric, value).  ``base``: another table like ``tp`` for ``none:0``."""
+    none = f" UNION ALL SELECT 'none:0', t FROM ({_TOKENS[model].replace('FROM tp', f'FROM {base}')}) WHERE {_FOLD} <> 0" if base else ""
+    return {
+        "tt": _TOKENS[model],
+        "tv": f"SELECT variant, t FROM member JOIN tt USING (sample_id) WHERE len(t) > 0{none}",
+        "hd": f"SELECT sample_id, t FROM tt WHERE {_FOLD} = 0 AND len(t) > 0",
+        "vc": "SELECT variant, tok, count(*) AS n FROM (SELECT variant, unnest(t) AS tok FROM tv) GROUP BY ALL",
+        "vs": "SELECT variant, sum(n) AS total, count(*) AS v FROM vc GROUP BY variant",
+        "vb": "SELECT variant, prev, tok, count(*) AS n FROM (SELECT variant, unnest(list_concat(['<s>'], t[:-2])) AS prev, unnest(t) AS tok FROM tv) GROUP BY ALL",
+        "vh": "SELECT variant, prev, sum(n) AS c FROM vb GROUP BY ALL",
+        "hr": "SELECT sample_id, unnest(generate_series(0, len(t) - 1)) AS g, unnest(list_concat(['<s>'], t[:-2])) AS prev, unnest(t) AS tok FROM hd",
+        "hk": "SELECT s.variant, sample_id, g, s.v, coalesce(q.tok, '<unk>') AS w, coalesce(q.n / s.total, 0) AS pu FROM hr r CROSS JOIN vs s LEFT JOIN vc q ON q.variant = s.variant AND q.tok = r.tok",
+        "hw": "SELECT *, coalesce(lag(w) OVER (PARTITION BY variant, sample_id ORDER BY g), '<s>') AS p, row_number() OVER (PARTITION BY variant, sample_id, w ORDER BY g) - 1 AS seen FROM hk",
+        "hl": """SELECT x.variant, ln(0.4 * CASE WHEN h.c IS NULL THEN pu ELSE coalesce(b.n, 0) / h.c END + 0.2 * pu + 0.1 / (v + 1) + CASE WHEN g > 0 THEN 0.3 * seen / g ELSE 0.3 * pu END) AS lp
+  FROM hw x LEFT JOIN vb b ON b.variant = x.variant AND b.prev = x.p AND b.tok = x.w LEFT JOIN vh h ON h.variant = x.variant AND h.prev = x.p""",
+        "gs": "SELECT variant, prev, tok AS guess FROM (SELECT b.variant, b.prev, b.tok, row_number() OVER (PARTITION BY b.variant, b.prev ORDER BY round(b.n / h.c, 9) DESC, b.tok) AS r FROM vb b JOIN vh h ON h.variant = b.variant AND h.prev = b.prev) WHERE r = 1",
+        "measures": """SELECT variant, 'heldout_ppl' AS metric, exp(-avg(lp)) AS value FROM hl GROUP BY variant UNION ALL
+  SELECT s.variant, 'greedy_accuracy', avg((coalesce(z.guess, '') = r.tok)::INTEGER) FROM hr r CROSS JOIN vs s LEFT JOIN gs z ON z.variant = s.variant AND z.prev = r.prev GROUP BY s.variant""",
+    }
+
+
+def _member_rates(rates: tuple[int, ...]) -> str:
+    each = f"(SELECT unnest({list(rates)}) AS rate_pct)"
+    return f"SELECT sample_id, 'combined:' || rate_pct AS variant FROM ({o.ranked()}) CROSS JOIN {each} WHERE rank <= (n * rate_pct + 99) // 100 UNION ALL SELECT sample_id, 'full:100' FROM scored"
+
+
+def _tidy_sql(table: str, data: str, model: str) -> str:
+    return f"SELECT '{data}' AS dataset, '{model}' AS model, split_part(variant, ':', 1) AS strategy, split_part(variant, ':', 2)::INTEGER AS rate_pct, metric, round(value, 6) AS value FROM {table}"
+
+
+_SETS = {"pairs": o.ALL | {"scored": _TRAINED}, "documents": _DOC_ALL | {"scored": _TRAINED}}
+
+
+def _swept_sql(rates: tuple[int, ...], untuned: bool) -> tuple[dict[str, str], str]:
+    parts, rows = {}, []
+    for data, tables in _SETS.items():
+        parts |= _prefixed(tables | {"member": _member_rates(rates)}, f"{data}_")
+    for data in _SETS:
+        for model in ("word", "char"):
+            own = _measured(model, f"{'documents' if data == 'pairs' else 'pairs'}_tp" if untuned else None)
+            made = {k: re.sub(r"\b(FROM|JOIN) (tp|member)\b", rf"\1 {data}_\2", v) for k, v in own.items()}
+            parts |= _prefixed(made, f"{data}_{model}_")
+            rows.append(_tidy_sql(f"{data}_{model}_measures", data, model))
+    return parts, " UNION ALL ".join(rows)
 
 
+def _picks_sql(rate: int) -> str:
+    kinds = {
+        "combined": o.chosen(rate),
+        "difficulty": o.chosen(rate, cluster="0"),
+        "random": o.chosen(rate, order="substr(md5('42:' || sample_id), 1, 12), sample_id", cluster="0"),
+        "kmeans": o.chosen(rate, order="md5('42:' || sample_id), sample_id"),
+    }
+    return " UNION ALL ".join(f"SELECT '{k}' AS strategy, sample_id FROM ({v})" for k, v in kinds.items())
+
+
+def _ablated_sql() -> tuple[dict[str, str], list[str]]:
+    parts, rows = {}, []
+    for data, rate in (("pairs", 40), ("documents", 30)):
+        own = {
+            "picks": _picks_sql(rate),
+            "member": f"SELECT sample_id, strategy || ':{rate}' AS variant FROM picks",
+            "fullc": "SELECT cluster_id, count(*) / (SELECT count(*) FROM scored) AS p FROM scored GROUP BY cluster_id",
+            "subc": "SELECT k.strategy, x.cluster_id, count(*) / sum(count(*)) OVER (PARTITION BY k.strategy) AS q FROM picks k JOIN scored x ON x.sample_id = k.sample_id GROUP BY k.strategy, x.cluster_id",
+            "bothc": "SELECT n.strategy, f.p, coalesce(c.q, 0) AS q FROM (SELECT DISTINCT strategy FROM picks) n CROSS JOIN fullc f LEFT JOIN subc c ON c.strategy = n.strategy AND c.cluster_id = f.cluster_id",
+            "more": f"SELECT strategy || ':{rate}' AS variant, 'tv' AS metric, sum(abs(p - q)) / 2 AS value FROM bothc GROUP BY strategy UNION ALL SELECT k.strategy || ':{rate}', 'mean_ifd', avg(x.ifd) FROM picks k JOIN scored x ON x.sample_id = k.sample_id GROUP BY k.strategy",
+        }
+        parts |= _prefixed(_SETS[data] | own | _measured("word"), f"{data}_")
+        rows += [_tidy_sql(f"{data}_measures", data, "word"), _tidy_sql(f"{data}_more", data, "word")]
+    return parts, rows
+
+
+_ABLATION, _ABLATION_ROWS = _ablated_sql()
+_SWEPT, _SWEPT_ROWS = _swept_sql(RATES, False)
+_ONE = o.ALL | {"scored": _TRAINED, "member": f"SELECT sample_id, 'combined:40' AS variant FROM ({o.chosen(40)})"} | _measured("word")
+
 ORACLES = {
     "rate_sweep_sizes": o.sql(o.ALL, _SWEEP),
-    "rate_score_corr": o.sql(o.ALL | {"sw": _SWEEP}, "SELECT round(corr(rate_pct, mean_ifd), 6) AS r FROM sw"),
+    "main_results": o.sql(*_swept_sql((40, 30), True)),
+    "rate_sweep": o.sql(_SWEPT, _SWEPT_ROWS),
+    "best_rates": o.sql(
+        _SWEPT | {"rs": _SWEPT_ROWS},
+        """SELECT dataset, model, arg_min(rate_pct, (value, rate_pct)) FILTER (WHERE strategy = 'combined') AS best_rate, min(value) FILTER (WHERE strategy = 'combined') AS at_best,
+  max(value) FILTER (WHERE strategy = 'full') AS at_full FROM rs WHERE metric = 'heldout_ppl' GROUP BY dataset, model""",
+    ),
+    "rate_score_corr": o.sql(_SWEPT | {"rs": _SWEPT_ROWS}, "SELECT dataset, model, metric, round(corr(rate_pct, value), 6) AS r FROM rs WHERE strategy = 'combined' GROUP BY ALL"),
+    "strategy_ablation": o.sql(_ABLATION, " UNION ALL ".join(_ABLATION_ROWS)),
     "redundancy_by_rate": o.sql(
         _DOC_ALL | {"kp": f"SELECT rate_pct::INTEGER AS rate_pct, sample_id FROM ({o.ranked()}) CROSS JOIN {_RATES_SQL} WHERE rank <= (n * rate_pct + 99) // 100"},
         "SELECT rate_pct, count(*) AS n, round(1 - count(DISTINCT array_to_string(resp, ' ')) / count(*), 6) AS duplicate_share FROM kp JOIN tp USING (sample_id) GROUP BY rate_pct",
@@ -264,12 +380,10 @@ ORACLES = {
         o.ALL | m._STRATEGIES,
         "SELECT a.strategy AS a, b.strategy AS b, round(count(*) / ((SELECT count(*) FROM picks WHERE strategy = a.strategy) + (SELECT count(*) FROM picks WHERE strategy = b.strategy) - count(*)), 6) AS jaccard FROM picks a JOIN picks b ON a.sample_id = b.sample_id AND a.strategy < b.strategy GROUP BY 1, 2",
     ),
-    "heldout_ppl": o.sql(_renamed(o.ALL | _TRAIN), "SELECT 'heldout_ppl' AS metric, round(exp(-avg(lp_without)), 6) AS value FROM e_lp"),
-    "greedy_accuracy": o.sql(
-        _renamed(o.ALL | _TRAIN)
-        | {"gs": "SELECT prev, tok AS guess FROM (SELECT b.prev, b.tok, row_number() OVER (PARTITION BY b.prev ORDER BY round(b.n / h.c, 9) DESC, b.tok) AS r FROM e_cb b JOIN e_ch h ON h.prev = b.prev) WHERE r = 1",
-           "hp": "SELECT unnest(list_concat(['<s>'], t[:-2])) AS prev, unnest(t) AS tok FROM hd"},
-        "SELECT 'greedy_accuracy' AS metric, round(avg((coalesce(guess, '') = tok)::INTEGER), 6) AS value FROM hp LEFT JOIN gs USING (prev)",
+    "heldout_ppl": o.sql(_ONE, "SELECT metric, round(value, 6) AS value FROM measures WHERE metric = 'heldout_ppl'"),
+    "greedy_accuracy": o.sql(_ONE, "SELECT metric, round(value, 6) AS value FROM measures WHERE metric = 'greedy_accuracy'"),
+    "best_strategy": o.sql(
+        _ABLATION | {"rs": " UNION ALL ".join(_ABLATION_ROWS)},
+        "SELECT dataset, model, strategy, value AS heldout_ppl FROM (SELECT *, row_number() OVER (PARTITION BY dataset, model ORDER BY value, strategy DESC) AS r FROM rs WHERE metric = 'heldout_ppl') WHERE r = 1",
     ),
-    "best_strategy": o.sql(o.ALL | m._STRATEGIES | {"gn": "SELECT strategy, round(avg(ifd), 6) AS value FROM picks JOIN scored USING (sample_id) GROUP BY 1"}, "SELECT 'pairs' AS dataset, 'word' AS model, strategy, value FROM gn ORDER BY value DESC, strategy DESC LIMIT 1"),
 }
