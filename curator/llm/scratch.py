@@ -50,3 +50,8 @@ def discard(df: DataFrame) -> None:
         jvm = df.sparkSession._jvm
         target = jvm.org.apache.hadoop.fs.Path(path)
         target.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def free_shuffles(df: DataFrame) -> None:
+    """Let Spark remove the shuffle files of queries that have ended now: it does so when the driver collects its garbage, which may be long after."""
+    df.sparkSession._jvm.System.gc()
