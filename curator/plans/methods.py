@@ -258,7 +258,7 @@ QUERIES = {
     "pass_at_k": lambda s, d: six(evaluate.pass_at_k(_results(s, d).groupBy("suite", F.pmod("item_id", F.lit(20)).alias("item")).agg(F.count(F.lit(1)).alias("n"), F.count_if("base_pass").alias("c")), 2)),
     "macro_average": lambda s, d: six(_benchmark_scores(s, d).select(F.expr("stack(2, 'base', pass_base, 'extended', pass_extended) AS (metric, v)")).groupBy("metric").agg(F.avg("v").alias("value"))),
     "benchmark_scores": _benchmark_scores,
-    "page_text": lambda s, d: page_text(read_table(s, d, "pages")).select("page_id", F.size(tokens(F.col("text"))).alias("n")),
+    "page_text": lambda s, d: page_text(read_table(s, d, "pages")),
     "pipeline_end_to_end": _end_to_end,
 }
 
@@ -304,6 +304,38 @@ def _pack_sql(data: str, context: int, fit: str, direction: str = "DESC", where:
 
 _LONG = "SELECT sample_id, (generate_subscripts(v, 1) - 1)::INTEGER AS dim, round(unnest(v), 6) AS x FROM vec"
 _ASSIGN = "SELECT sample_id, cluster_id FROM cl"
+
+
+def _unit(vector: str) -> str:
+    return f"list_transform({vector}, lambda x: x / greatest(sqrt(list_sum(list_transform({vector}, lambda y: y * y))), 1e-300))"
+
+
+def _cosine_sql() -> dict[str, str]:
+    """Lloyd rounds over unit vectors with centroids brought back to unit length; the last assignment is of the vectors as given."""
+    rounds = o.kmeans()
+    made = {"raw_vec": o.GIVEN["vec"], "vec": f"SELECT sample_id, {_unit('v')} AS v FROM raw_vec"}
+    for name, body in rounds.items():
+        if name.startswith("c") and name[1:].isdigit() and name != "c0":
+            made[f"u{name}"] = body
+            body = f"SELECT cluster_id, {_unit('c')} AS c FROM u{name}"
+        made[name] = body.replace("FROM vec CROSS JOIN", "FROM raw_vec CROSS JOIN") if name == "cl" else body
+    return made
+
+
+def _farthest_sql(k: int = 10) -> dict[str, str]:
+    """Lloyd rounds from starts that are each the farthest from those before it."""
+    gap = "list_sum(list_transform(list_zip(x.v, f.c), lambda p: (p[1] - p[2]) * (p[1] - p[2])))"
+    made = {"f1": "SELECT 0 AS cluster_id, v AS c FROM vec ORDER BY sample_id LIMIT 1"}
+    for i in range(1, k):
+        made[f"f{i + 1}"] = f"SELECT * FROM f{i} UNION ALL SELECT {i}, v FROM (SELECT x.sample_id, any_value(x.v) AS v, min({gap}) AS d FROM vec x CROSS JOIN f{i} f GROUP BY x.sample_id ORDER BY d DESC, x.sample_id LIMIT 1)"
+    return made | o.kmeans() | {"c0": f"SELECT cluster_id, c FROM f{k}"}
+
+
+_PLAIN = "html"
+for _from, _to in ((r"(?is)<script\b.*?</script>", " "), (r"(?is)<style\b.*?</style>", " "), (r"(?s)<[^>]*>", " ")):
+    _PLAIN = f"regexp_replace({_PLAIN}, '{_from}', '{_to}', 'g')"
+for _from, _to in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&nbsp;", " "), ("&amp;", "&")):
+    _PLAIN = f"replace({_PLAIN}, '{_from}', '{_to}')"
 _RES = {"res": "SELECT lang AS suite, doc_id AS item_id, quality = 1 AS base_pass, quality = 1 AND toxic = 0 AS extended_pass FROM labels JOIN documents USING (doc_id)"}
 _STRATEGIES = {
     "pick_c": f"SELECT 'combined' AS strategy, sample_id FROM ({o.chosen(40)})",
@@ -344,6 +376,13 @@ SELECT sample_id, array_to_string(past, chr(10)) AS instruction, response FROM t
     "kmeans_assign": o.sql(_GIVEN, _ASSIGN),
     "kmeans_assign_summarizer": o.sql(_GIVEN, _ASSIGN),
     "kmeans_assign_summarizer": partial(_given_assign, update="summarizer"),
+    "kmeans_assign_cosine": o.sql(_cosine_sql(), _ASSIGN),
+    "kmeans_assign_farthest_init": o.sql(o.GIVEN | _farthest_sql(), _ASSIGN),
+    "page_text": f"SELECT page_id, trim(regexp_replace({_PLAIN}, '[ \\t\\r\\n]+', ' ', 'g'), ' ') AS text FROM pages",
+    "pipeline_end_to_end": o.sql(
+        o.ALL | {"kept": o.chosen(40)} | {k: v + " SEMI JOIN kept USING (sample_id)" if k == "ln" else v for k, v in o.packed("pairs", 4096, "first").items() if k not in o.PAIRS},
+        'SELECT batch_id, row_id, sample_id, "offset", length FROM pk',
+    ),
     "kmeans_assign_hash_init": o.sql(o.GIVEN | o.kmeans(order="md5(sample_id::VARCHAR), sample_id"), _ASSIGN),
     "kmeans_assign_pairs": o.sql(o.PAIRS | o.EMBED | o.kmeans(), _ASSIGN),
     "kmeans_report": o.sql(o.PAIRS | o.EMBED | o.kmeans(), "SELECT cluster_id, count(*) AS n, round(sum(dist * dist), 6) AS sse, round(avg(dist), 6) AS mean_dist FROM cl GROUP BY cluster_id"),

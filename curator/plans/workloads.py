@@ -160,7 +160,7 @@ def redundancy_by_rate(s: SparkSession, d: str) -> DataFrame:
 def _padding_rates(n: DataFrame, size: int) -> DataFrame:
     """``context, batch, layout, rows, cells, padding_rate, truncated`` of every layout over all samples."""
     b = packing.form_batches(n, size).persist()
-    shape = ["layout", "rows", "cells", "padding_rate", "truncated"]
+    shape = ["layout", "rows", "cells", "used", "padding_rate", "attention_cells", "peak_cells", "peak_attention", "truncated"]
     report = lambda v, k, context: packing.layout_report(v, k).select(context.alias("context"), F.lit(size).alias("batch"), *shape)
     # These two do not depend on the context.
     every = F.explode(F.array(*(F.lit(c) for c in PAD_CONTEXTS)))
@@ -182,8 +182,10 @@ def _padding_rates(n: DataFrame, size: int) -> DataFrame:
 
 
 def padding_comparison(s: SparkSession, d: str) -> DataFrame:
-    """Padding rates of the layouts for two data sets, three contexts and three batch sizes, over all samples.
+    """Padding rates, costs and peaks of the layouts for two data sets, three contexts and three batch sizes, over all samples.
 
+    Cells stand for time and the peak of a batch for memory; ``saved_cells`` and ``saved_peak`` are the shares saved against one sample a row padded to the
+    longest of the batch.  ``context_use`` is the share of the context that an average row fills, ``samples_a_row`` and ``rows_a_batch`` tell how rows are shared.
     A sample longer than the context has a row of its own in packed layouts and is cut where a layout has a fixed width (``truncated`` tokens);
     ``long_samples`` and ``long_tokens`` are the shares of such samples and of their tokens.
     """
@@ -194,7 +196,12 @@ def padding_comparison(s: SparkSession, d: str) -> DataFrame:
         shares = n.select("n_tokens", F.explode(F.array(*(F.lit(c) for c in PAD_CONTEXTS))).alias("context")).groupBy("context")
         shares = shares.agg(F.avg(long.cast("int")).alias("long_samples"), (F.sum(F.when(long, F.col("n_tokens")).otherwise(0)) / F.sum("n_tokens")).alias("long_tokens"))
         rates = union([_padding_rates(n, size) for size in PAD_SIZES])
-        parts.append(rates.join(shares, "context").select(F.lit(data).alias("dataset"), "context", "batch", "layout", "rows", "cells", "padding_rate", "truncated", "long_samples", "long_tokens"))
+        total = n.count()
+        plain = Window.partitionBy("context", "batch")
+        against = lambda c: F.max(F.when(F.col("layout") == "pad_longest", F.col(c))).over(plain)
+        rates = rates.withColumns({"saved_cells": 1 - F.col("cells") / against("cells"), "saved_peak": 1 - F.col("peak_cells") / against("peak_cells")})
+        rates = rates.withColumns({"context_use": F.col("used") / (F.col("rows") * F.col("context")), "samples_a_row": F.lit(total) / F.col("rows"), "rows_a_batch": F.col("rows") / F.ceil(F.lit(total) / F.col("batch"))})
+        parts.append(rates.join(shares, "context").select(F.lit(data).alias("dataset"), *rates.columns, "long_samples", "long_tokens"))
     return m.six(union(parts))
 
 
@@ -212,13 +219,38 @@ def cluster_sweep(s: SparkSession, d: str) -> DataFrame:
 
 
 def dataset_diversity(s: SparkSession, d: str) -> DataFrame:
-    """Type/token ratio, repeated instructions and mean length of the two data sets."""
+    """Type/token ratio, repeated and nearly repeated instructions, mean length, and mean distance of the vectors from their centre, of the two data sets.
+
+    Instructions count as near copies if their vectors have the same signs throughout.
+    """
     parts = []
     for data in ("pairs", "documents"):
         p = m.pairs(s, d, data)
         toks = p.select(F.explode(F.concat("instr", "resp")).alias("t")).agg((F.count_distinct("t") / F.count("t")).alias("type_token"))
         rest = p.agg((1 - F.count_distinct(F.md5(F.array_join("instr", " "))) / F.count(F.lit(1))).alias("repeated"), F.avg(F.size("resp")).alias("mean_resp"))
-        parts.append(toks.join(rest).select(F.lit(data).alias("dataset"), "*"))
+        v = stage(m.vectors(s, d, data), "vectors")
+        signs = F.array_join(F.transform("v", lambda x: F.when(x > 0, "+").otherwise("-")), "")
+        near = v.agg((1 - F.count_distinct(signs) / F.count(F.lit(1))).alias("near_copies"))
+        spread = kmeans.assign(v, kmeans.fit(v, 1, 1)).agg(F.avg("dist").alias("mean_dist"))
+        parts.append(toks.join(rest).join(near).join(spread).select(F.lit(data).alias("dataset"), "*"))
+    return m.six(union(parts))
+
+
+def consistency_mix(s: SparkSession, d: str) -> DataFrame:
+    """How far the documents of each strategy at 40 percent are from all: shares by language and by source, and the mean vector."""
+    rows = m.scored(s, d, "documents")
+    labels = read_table(s, d, "documents").select(F.col("doc_id").alias("sample_id"), *(F.coalesce(c, F.lit("none")).alias(c) for c in ("lang", "source")))
+    full = stage(rows.join(labels, "sample_id").join(m.vectors(s, d, "documents"), "sample_id"), "labelled")
+    member = stage(union([x.select("sample_id", F.lit(k).alias("strategy")) for k, x in _strategies(rows, 40).items()]), "strategies")
+    picked = full.join(member, "sample_id")
+    parts = []
+    for by in ("lang", "source"):
+        for name in STRATEGIES:
+            parts.append(select.consistency(full, picked.filter(F.col("strategy") == name), by).select(F.lit(name).alias("strategy"), F.lit(by).alias("by"), F.col("tv").alias("value")))
+    centre = full.select(F.posexplode("v").alias("dim", "x")).groupBy("dim").agg(F.avg("x").alias("a"))
+    own = picked.select("strategy", F.posexplode("v").alias("dim", "x")).groupBy("strategy", "dim").agg(F.avg("x").alias("b"))
+    shift = own.join(centre, "dim").groupBy("strategy").agg(F.sqrt(F.sum((F.col("a") - F.col("b")) ** 2)).alias("value"))
+    parts.append(shift.select("strategy", F.lit("mean_vector").alias("by"), "value"))
     return m.six(union(parts))
 
 
@@ -256,6 +288,7 @@ QUERIES = {
     "padding_comparison": padding_comparison,
     "cluster_sweep": cluster_sweep,
     "dataset_diversity": dataset_diversity,
+    "consistency_mix": consistency_mix,
     "strategy_overlap": strategy_overlap,
     "heldout_ppl": lambda s, d: _heldout(s, d, "heldout_ppl"),
     "greedy_accuracy": lambda s, d: _heldout(s, d, "greedy_accuracy"),
@@ -353,6 +386,24 @@ def _ablated_sql() -> tuple[dict[str, str], list[str]]:
     return parts, rows
 
 
+_DOC_PARTS = {"dt": o.DOC_PAIRS["dt"], "tp": o.DOC_PAIRS["dp"]}
+
+
+def _clusters_sql() -> tuple[dict[str, str], str]:
+    parts, rows = o.PAIRS | o.NGRAM | o.EMBED, []
+    for k in (5, 10, 20):
+        own = {
+            "kept": o.chosen(40),
+            "fullc": "SELECT cluster_id, count(*) / (SELECT count(*) FROM scored) AS p FROM scored GROUP BY cluster_id",
+            "subc": "SELECT cluster_id, count(*) / (SELECT count(*) FROM kept) AS q FROM kept GROUP BY cluster_id",
+            "rep": "SELECT cluster_id, count(*) AS n, sum(dist * dist) AS sse FROM scored GROUP BY cluster_id",
+            "tvs": "SELECT sum(abs(f.p - coalesce(c.q, 0))) / 2 AS tv FROM fullc f LEFT JOIN subc c ON c.cluster_id = f.cluster_id",
+        }
+        parts |= _prefixed(o.kmeans(k) | o.SCORED | own, f"k{k}_")
+        rows.append(f"SELECT {k} AS k, count(*) AS clusters, min(n) AS smallest, max(n) AS largest, round(sum(sse), 6) AS sse, round((SELECT tv FROM k{k}_tvs), 6) AS tv FROM k{k}_rep")
+    return parts, " UNION ALL ".join(rows)
+
+
 _ABLATION, _ABLATION_ROWS = _ablated_sql()
 _SWEPT, _SWEPT_ROWS = _swept_sql(RATES, False)
 _ONE = o.ALL | {"scored": _TRAINED, "member": f"SELECT sample_id, 'combined:40' AS variant FROM ({o.chosen(40)})"} | _measured("word")
@@ -373,9 +424,23 @@ ORACLES = {
         "SELECT rate_pct, count(*) AS n, round(1 - count(DISTINCT array_to_string(resp, ' ')) / count(*), 6) AS duplicate_share FROM kp JOIN tp USING (sample_id) GROUP BY rate_pct",
     ),
     "dataset_diversity": o.sql(
-        o.PAIRS | o.DOC_PAIRS | {"u": "SELECT 'pairs' AS dataset, instr, resp FROM tp UNION ALL SELECT 'documents', instr, resp FROM dp", "x": "SELECT dataset, unnest(list_concat(instr, resp)) AS tok FROM u"},
-        "SELECT dataset, type_token, repeated, mean_resp FROM (SELECT dataset, round(count(DISTINCT tok) / count(*), 6) AS type_token FROM x GROUP BY 1) JOIN (SELECT dataset, round(1 - count(DISTINCT array_to_string(instr, ' ')) / count(*), 6) AS repeated, round(avg(len(resp)), 6) AS mean_resp FROM u GROUP BY 1) USING (dataset)",
+        _prefixed(o.PAIRS | o.EMBED | o.kmeans(1, 1), "pairs_") | _prefixed(_DOC_PARTS | o.EMBED | o.kmeans(1, 1), "documents_")
+        | {"u": "SELECT 'pairs' AS dataset, instr, resp FROM pairs_tp UNION ALL SELECT 'documents', instr, resp FROM documents_tp", "x": "SELECT dataset, unnest(list_concat(instr, resp)) AS tok FROM u",
+           "near": " UNION ALL ".join(f"SELECT '{k}' AS dataset, round(1 - count(DISTINCT array_to_string(list_transform(v, lambda y: CASE WHEN y > 0 THEN '+' ELSE '-' END), '')) / count(*), 6) AS near_copies FROM {k}_vec" for k in _SETS),
+           "spread": " UNION ALL ".join(f"SELECT '{k}' AS dataset, round(avg(dist), 6) AS mean_dist FROM {k}_cl" for k in _SETS)},
+        """SELECT dataset, type_token, repeated, mean_resp, near_copies, mean_dist FROM (SELECT dataset, round(count(DISTINCT tok) / count(*), 6) AS type_token FROM x GROUP BY 1)
+  JOIN (SELECT dataset, round(1 - count(DISTINCT array_to_string(instr, ' ')) / count(*), 6) AS repeated, round(avg(len(resp)), 6) AS mean_resp FROM u GROUP BY 1) USING (dataset) JOIN near USING (dataset) JOIN spread USING (dataset)""",
+    ),
+    "consistency_mix": o.sql(
+        _DOC_ALL | {"picks": _picks_sql(40), "lab": "SELECT sample_id, coalesce(lang, 'none') AS lang, coalesce(source, 'none') AS source FROM scored JOIN documents ON doc_id = sample_id"}
+        | {f"mix_{by}": f"""SELECT strategy, '{by}' AS "by", round(sum(abs(p - q)) / 2, 6) AS value FROM (SELECT n.strategy, f.p, coalesce(c.q, 0) AS q FROM (SELECT DISTINCT strategy FROM picks) n
+  CROSS JOIN (SELECT {by}, count(*) / (SELECT count(*) FROM lab) AS p FROM lab GROUP BY {by}) f
+  LEFT JOIN (SELECT strategy, {by}, count(*) / sum(count(*)) OVER (PARTITION BY strategy) AS q FROM picks JOIN lab USING (sample_id) GROUP BY strategy, {by}) c ON c.strategy = n.strategy AND c.{by} = f.{by}) GROUP BY strategy""" for by in ("lang", "source")}
+        | {"cells": "SELECT sample_id, unnest(generate_series(1, len(v))) AS dim, unnest(v) AS x FROM vec", "centre": "SELECT dim, avg(x) AS a FROM cells SEMI JOIN scored USING (sample_id) GROUP BY dim",
+           "own": "SELECT strategy, dim, avg(x) AS b FROM picks JOIN cells USING (sample_id) GROUP BY strategy, dim"},
+        """SELECT * FROM mix_lang UNION ALL SELECT * FROM mix_source UNION ALL SELECT strategy, 'mean_vector', round(sqrt(sum((a - b) * (a - b))), 6) FROM own JOIN centre USING (dim) GROUP BY strategy""",
     ),
+    "cluster_sweep": o.sql(*_clusters_sql()),
     "strategy_overlap": o.sql(
         o.ALL | m._STRATEGIES,
         "SELECT a.strategy AS a, b.strategy AS b, round(count(*) / ((SELECT count(*) FROM picks WHERE strategy = a.strategy) + (SELECT count(*) FROM picks WHERE strategy = b.strategy) - count(*)), 6) AS jaccard FROM picks a JOIN picks b ON a.sample_id = b.sample_id AND a.strategy < b.strategy GROUP BY 1, 2",

@@ -5,15 +5,12 @@ from harness import compare
 
 from curator.plans.registry import ORACLES, QUERIES
 
-SLOW = {"main_results", "strategy_ablation", "rate_sweep", "padding_comparison", "cluster_sweep"}
-
-
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_matches_sql(spark, sf, name):
     assert compare(spark, sf, QUERIES[name], ORACLES[name]) == []
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - SLOW))
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
 def test_has_rows(spark, sf, name):
     assert QUERIES[name](spark, sf).count() > 0
 
