@@ -20,7 +20,7 @@ def register(spark: SparkSession) -> None:
 
 
 class PackRows:
-    """``pack_rows(TABLE t PARTITION BY batch_id ORDER BY n_tokens DESC, sample_id)``: first fit into rows of CONTEXT tokens."""
+    """``pack_rows(TABLE t PARTITION BY batch_id ORDER BY (n_tokens DESC, sample_id))``: first fit into rows of CONTEXT tokens."""
 
     CONTEXT = 4096
 

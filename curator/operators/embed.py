@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from typing import Iterator
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -39,4 +40,10 @@ def table_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "em
 
 def function_vectors(pairs: DataFrame, fn: Callable, column: str = "instruction") -> DataFrame:
     """``fn``: iterator of pandas series of texts to iterator of series of lists."""
-    return pairs.select("sample_id", F.pandas_udf(fn, "array<double>")(F.col(column)).alias("v"))
+    import pandas as pd
+
+    def run(batches):
+        return fn(batches)
+
+    run.__annotations__ = {"batches": Iterator[pd.Series], "return": Iterator[pd.Series]}
+    return pairs.select("sample_id", F.pandas_udf(run, "array<double>")(F.col(column)).alias("v"))
