@@ -1,7 +1,7 @@
 """Token counts without token ids (operator 7).
 
 Three steps.  The distinct pre-tokens of all texts are counted: tasks add up what they see, a shuffle adds up the tasks.  The library says once per distinct
-pre-token how many pieces it has; that table is stored.  Then each document's pre-token frequencies are joined to it: the HEAD most
+pre-token how many pieces it has; that table is stored.  Then each document's pre-token frequencies are joined to it: up to HEAD of the most
 frequent pre-tokens, a table of bounded size that most of a text consists of, inside the tasks that count the frequencies; the others as rows
 ``(document, pre-token, frequency)`` in a shuffle join, whose sums per document come back by a row number.  So no pre-token is hot in the shuffle.
 """
@@ -23,6 +23,8 @@ from .text import free_name
 _OTHERS = ArrayType(StructType().add("part", "binary").add("n", "long"))
 #: Pre-tokens of the table that every task holds: some 20 bytes each to send, 150 to hold.
 HEAD = 200_000
+#: Steps of the frequency per factor of two; the head takes whole steps, of which there are fewer than a thousand.
+STEPS = 16
 #: Distinct pre-tokens that a task adds up before it passes them on.
 FLUSH = 400_000
 #: Pre-tokens that the library gets at a time.
@@ -94,7 +96,14 @@ def count_tokens(docs: DataFrame, model_path: str, limit: int = 2048, text_col:
     row, rest = free_name("count_row", kept), free_name("count_rest", kept)
     table = piece_table(docs, model_path, text_col)
     # The head has a proven bound, whatever the corpus; it goes to the driver and from there to the tasks.
-    common = {bytes(r.part): r.pieces for r in table.orderBy(F.desc("n"), "part").limit(head).collect()}
+    step = F.floor(F.log2("n") * STEPS)
+    room, least = head, None
+    for r in table.groupBy(step.alias("step")).agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("step")).collect():
+        room -= r.n
+        if room < 0:
+            break
+        least = r.step
+    common = {bytes(r.part): r.pieces for r in table.filter(step >= least).select("part", "pieces").collect()} if least is not None else {}
     shared = docs.sparkSession.sparkContext.broadcast(common)
     body = docs.select(*kept, F.coalesce(F.col(text_col), F.lit("")).alias("_body"))
     schema = body.drop("_body").schema.add("n_bytes", "long").add("n_tokens", "long").add(row, "long").add(rest, _OTHERS)
