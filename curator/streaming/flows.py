@@ -9,7 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from curator.operators.kmeans import Centroids, nearest
-from curator.operators.packing import dynamic_pack
+from curator.operators.packing import dynamic_pack, form_batches, global_rank
+from curator.sources.checkpoints import shared_folder
 
 
 def event_stream(spark: SparkSession, path: str) -> DataFrame:
@@ -21,11 +22,23 @@ def event_stream(spark: SparkSession, path: str) -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream to the end of what is there and returns its result table."""
-    name = f"flow_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Runs a stream to the end of what is there and returns its result table, which is kept in files of the shared folder, not by the driver.
+
+    Each micro-batch has a folder of its own that a repeated one replaces; of ``complete`` results the last counts.
+    """
+    spark = stream.sparkSession
+    base, done = f"{shared_folder(spark)}/flow-{uuid.uuid4().hex}", {}
+
+    def keep(rows: DataFrame, epoch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{base}/out/epoch={epoch}")
+        done[epoch] = f"{base}/out/epoch={epoch}"
+
+    query = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/state").foreachBatch(keep).trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    paths = [done[e] for e in sorted(done)]
+    if not paths:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*(paths[-1:] if mode == "complete" else paths))
 
 
 def windowed(events: DataFrame, kind: str, size: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
@@ -46,6 +59,11 @@ def interval_join(left: DataFrame, right: DataFrame, within: str, late: str = "1
     return a.join(b, (F.col("user_id") == F.col("u")) & (F.col("right_ts") > F.col("left_ts")) & (F.col("right_ts") <= F.col("left_ts") + F.expr(f"INTERVAL {within}"))).select("left_id", "right_id")
 
 
+def with_reference(events: DataFrame, reference: DataFrame, key: str = "user_id") -> DataFrame:
+    """A stream joined to a table that does not change, read anew by every micro-batch; rows without a match keep nulls.  Stateless."""
+    return events.join(reference, key, "left")
+
+
 def online_selection(scored: DataFrame, centroids: Centroids, cutoffs: dict[int, float]) -> DataFrame:
     """A stream of ``sample_id, v, ifd`` filtered by the cut-offs per cluster of the last batch fit; stateless."""
     cut = F.element_at(F.create_map(*(F.lit(x) for kv in sorted(cutoffs.items()) for x in kv)), F.col("cluster_id"))
@@ -53,12 +71,22 @@ def online_selection(scored: DataFrame, centroids: Centroids, cutoffs: dict[int,
     return near.select("sample_id", (F.array_position("ds", F.array_min("ds")) - 1).cast("int").alias("cluster_id"), "ifd").filter(F.col("ifd") >= cut)
 
 
-def pack_micro_batches(sink: Callable[[DataFrame, int], None], context: int = 4096, size: int = 256) -> Callable[[DataFrame, int], None]:
-    """For ``foreachBatch``: packs each micro-batch in groups of ``size`` and hands the rows to ``sink``."""
+def pack_micro_batches(sink: Callable[[DataFrame, int], None], context: int = 4096, size: int = 256, carry: str | None = None) -> Callable[[DataFrame, int], None]:
+    """For ``foreachBatch``: packs each micro-batch in groups of ``size`` and hands the rows to ``sink``.
 
-    def run(rows: DataFrame, epoch: int) -> None:
-        from curator.operators.packing import form_batches
+    With a folder ``carry`` only whole groups are packed; the samples left over wait there for the next micro-batch, in a file per micro-batch, so
+    that a repeated one finds what it found before.
+    """
 
+    def run(rows: DataFrame, epoch: int) -> None:
+        rows = rows.select("sample_id", F.col("n_tokens").cast("int").alias("n_tokens"))
+        if carry is not None:
+            if epoch:
+                rows = rows.unionByName(rows.sparkSession.read.parquet(f"{carry}/epoch={epoch - 1}"))
+            ranked = global_rank(rows, F.col("sample_id"), [])
+            whole = ranked.count() // size * size
+            ranked.filter(F.col("rank") >= whole).drop("rank").write.mode("overwrite").parquet(f"{carry}/epoch={epoch}")
+            rows = ranked.filter(F.col("rank") < whole).drop("rank")
         sink(dynamic_pack(form_batches(rows, size), context), epoch)
 
     return run

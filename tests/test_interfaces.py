@@ -133,3 +133,20 @@ def test_stateful_packing_in_a_running_query(spark, tmp_path):
     assert len(rows) == 12 and {r.batch for r in rows} == {0, 1, 2} and len({r.sample_id for r in rows}) == 12
 
 
+
+
+def test_micro_batches_carry_the_rest(spark, tmp_path):
+    out = []
+    run = flows.pack_micro_batches(lambda rows, epoch: out.append((epoch, sorted(r.sample_id for r in packing.segments(rows).collect()))), 512, 4, f"{tmp_path}/carry")
+    for epoch, ids in enumerate(([0, 1, 2], [3, 4], [], [5, 6, 7, 8])):
+        run(spark.createDataFrame([(i, 10) for i in ids], "sample_id long, n_tokens int"), epoch)
+    run(spark.createDataFrame([(i, 10) for i in [5, 6, 7, 8]], "sample_id long, n_tokens int"), 3)  # a repeated one
+    assert out == [(0, []), (1, [0, 1, 2, 3]), (2, []), (3, [4, 5, 6, 7]), (3, [4, 5, 6, 7])]
+    assert [r.sample_id for r in spark.read.parquet(f"{tmp_path}/carry/epoch=3").collect()] == [8]
+
+
+def test_stream_joins_a_table(spark, tmp_path):
+    spark.createDataFrame([(1, 10), (2, 20), (9, 90)], "user_id long, event_id long").write.parquet(f"{tmp_path}/events")
+    users = spark.createDataFrame([(1, "a"), (2, "b")], "user_id long, name string")
+    stream = spark.readStream.schema("user_id long, event_id long").parquet(f"{tmp_path}/events")
+    assert sorted(map(tuple, flows.drain(flows.with_reference(stream, users), "append").fillna("-").collect())) == [(1, 10, "a"), (2, 20, "b"), (9, 90, "-")]
