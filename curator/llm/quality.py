@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .text import SPACES, let, words
 
 #: Rows that costs and selectivities are estimated on, about, and how often a rule is evaluated on each to time it.
-SAMPLE_ROWS, REPEATS = 2000, 40
+SAMPLE_ROWS, REPEATS = 2000, 12
 #: Fixed values of the base counts.
 SYMBOLS = "#*$%&|<>"
 MIN_WORDS, MAX_REPEAT_PCT = 50, 50

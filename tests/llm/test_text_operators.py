@@ -513,3 +513,32 @@ def test_pipeline_stages(spark, sf):
     kept = simhash.simhash_components(docs.dropDuplicates(["doc_id"]))
     assert kept.select("component_id").distinct().count() <= kept.count()
     assert cp.run(spark, sf).count() == docs.count()
+
+
+def test_pipeline_stages_take_odd_rows(spark, sf):
+    """Nulls in any column, empty and very long texts, repeated rows and ids, columns that bear added names, and empty tables."""
+    import corpus_pipeline as cp
+
+    prose = " ".join(r.text for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").orderBy("doc_id").limit(3).collect())
+    rows = [(i, t, "en" if i % 2 else None, "s" if i % 3 else None, None) for i, t in enumerate(ODD)] + [(3, ODD[3], "en", "s", 2), (None, None, None, None, None)]
+    rows += [(50, prose, "en", "s", 1), (50, prose, "en", "s", 1), (None, prose + " more", "en", None, 1), (51, "\n".join(f"line {i} of many that are all different {i * i}" for i in range(20_000)), "en", "t", 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
+    for clash in ("Kept", "n_lines", "FP", "taken", "size", "n_tokens", "line", "tie", "component_id"):
+        docs = docs.withColumn(clash, F.lit("x"))
+    got = {}
+    for name, stage in cp.STAGES:
+        out = stage(spark, docs, sf)
+        got[name] = out.collect()
+        assert name == "sentencepiece" or tuple(out.columns) == cp.COLUMNS
+        assert stage(spark, docs.limit(0), sf).count() == 0
+    ids = lambda name: sorted((-1 if r.doc_id is None else r.doc_id) for r in got[name])
+    assert ids("quality_rules")[-2:] == [50, 50] or 51 in ids("quality_rules")
+    assert ids("quality_rules").count(50) == 2  # repeated rows are judged one by one
+    texts = {r.doc_id: r.text for r in got["line_dedup"] if r.doc_id is not None}
+    assert texts[0] is None and texts[1] == "" and 51 in texts
+    assert ids("simhash_near_dedup").count(50) == 1 and {0, 1, 2, 3} & set(ids("simhash_near_dedup")) == {0}  # texts without a word are one component
+    assert all(n_words_of(r.text) for r in got["mixing"]) and len(got["sentencepiece"]) == len(rows)
+
+
+def n_words_of(text):
+    return len(re.findall(r"[^\x20\x09-\x0D]+", text or ""))
