@@ -1,6 +1,7 @@
 """A training-data pipeline over ``documents``: rules, line dedup, near-dedup, mixing, encoding.
 
-Every stage works on all rows that the one before it wrote.
+Every stage works on all rows that the one before it wrote, and takes any row: nulls in every column, empty and very long texts,
+repeated rows and ids, further columns (which go) and empty tables.
 """
 
 from __future__ import annotations
@@ -19,30 +20,33 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the rules keep."""
+    """Documents that the rules keep; null and empty texts fail them, repeated rows are judged one by one."""
     return quality.judge_quality(docs.select(*COLUMNS)).filter("kept").select(*COLUMNS)
 
 
 def deduplicated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One line of every component stays; documents that lose every line go."""
+    """One line of every component stays; documents that lose every line go, those without a line stay as they are.
+
+    Rows that repeat id and text keep the same lines; null ids come last.
+    """
     out = line_dedup.dedup_lines(docs.select(*COLUMNS)).filter((F.col("n_lines") == 0) | (F.col("n_dropped") < F.col("n_lines")))
     return out.withColumn("n_chars", F.coalesce(F.length("text"), "n_chars").cast("long")).select(*COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of the smallest id of every component."""
+    """The document of the smallest id of every component, one row if it is repeated, a null id last; texts without a word are one component."""
     return simhash.one_per_component(docs.select(*COLUMNS))
 
 
 def mixed_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them."""
+    """Documents as often as the mix takes them; those without a word are never taken, and of identical rows any may be."""
     sized = docs.select(*COLUMNS, n_words(F.col("text")).alias("size"), F.xxhash64("text").alias("tie"))
     out = mixing.materialize(mixing.mix_sources(sized, WEIGHTS, SHARE, CAP, tie_col="tie"))
     return out.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document of the mix."""
+    """Counts and digests of the token ids of every document of the mix, row by row; null text counts as empty."""
     return piece_bpe.encode_documents(docs.select("doc_id", "lang", "source", "text"), vocabulary("piece_bpe_32k.model"))
 
 
