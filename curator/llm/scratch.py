@@ -8,6 +8,7 @@ absent and driver and executors are one process, as in unit tests, a folder of t
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -54,4 +55,5 @@ def discard(df: DataFrame) -> None:
 
 def free_shuffles(df: DataFrame) -> None:
     """Let Spark remove the shuffle files of queries that have ended now: it does so when the driver collects its garbage, which may be long after."""
+    gc.collect()  # what Python no longer uses may still hold plans in the driver's JVM
     df.sparkSession._jvm.System.gc()
