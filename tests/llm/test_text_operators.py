@@ -400,6 +400,30 @@ def test_line_buckets_are_decided_in_full(spark):
     assert got == dict(enumerate(low)) and len(set(low)) < 60
 
 
+def test_no_link_of_a_large_bucket_is_lost(spark):
+    """1,200 lines around one passage, every two of which are just similar: all that share a bucket end together, also where sizes keep them from the lines they met."""
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(7))
+    passage, lines = [word() for _ in range(37)], []
+    for i in range(600):
+        tail = [word() for _ in range(5 + 40 * (i % 5 == 0))]
+        lines += [" ".join(passage + tail), " ".join(passage + tail[: -4 - (i % 5 == 0) * 4] + [word() for _ in range(4 + (i % 5 == 0) * 4)])]
+    order = list(range(len(lines)))
+    rng.shuffle(order)
+    docs = spark.createDataFrame([(d, lines[i]) for d, i in enumerate(order)], "doc_id long, text string").repartition(4)
+    keys = {order[r.doc_id]: set(r["keys"]) for r in line_dedup._signed(docs, "text").collect()}
+    sizes = {}
+    for own in keys.values():
+        for k in own:
+            sizes[k] = sizes.get(k, 0) + 1
+    assert max(sizes.values()) > 100
+    sets = [{x[i : i + 5] for i in range(len(x) - 4)} for x in lines]
+    want = [(i, j) for i in range(len(lines)) for j in range(i) if (n := len(sets[i] & sets[j])) >= 0.8 * (len(sets[i]) + len(sets[j]) - n) and keys[i] & keys[j]]
+    keep = {order[int(r.id) >> 31]: int(r.keep) >> 31 for r in line_dedup.line_classes(line_dedup.distinct_lines(docs)).collect()}
+    assert len(want) > 550 and [p for p in want if keep[p[0]] != keep[p[1]]] == []
+    assert len(set(keep.values())) >= len(lines) - len(want)
+
+
 def _meeting_share(spark, pairs):
     """The share of pairs of lines that have a band in common."""
     met = spark.createDataFrame(pairs, "a string, b string").repartition(4)
