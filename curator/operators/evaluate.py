@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from curator.operators.scoring import BIGRAM, HISTORY, START, UNIFORM, UNIGRAM, UNKNOWN, NGramScorer
+from curator.operators.scoring import BIGRAM, HISTORY, START, UNIFORM, UNIGRAM, NGramScorer
+from curator.sources.checkpoints import stage
 
 
 def pass_at_1(results: DataFrame, by: str = "suite", passed: str = "base_pass") -> DataFrame:
@@ -45,30 +48,48 @@ def heldout_quality(train: DataFrame, heldout: DataFrame) -> tuple[DataFrame, Da
 
 
 def heldout_by_variant(train: DataFrame, heldout: DataFrame, variants: list[str]) -> DataFrame:
-    """``variant, heldout_ppl, greedy_accuracy``: the measures of ``heldout_quality`` for one model per ``variant`` of ``train``, in one plan.
+    """``variant, heldout_ppl, greedy_accuracy``: the measures of ``heldout_quality`` for one model per variant, in one plan.
 
-    ``train``: ``variant, t``; ``heldout``: ``id, t``.  Models are counted side by side, so a sweep reads its samples once; ``variants`` names all of them.
+    ``train``: ``variants`` (array: the models that learn from the row) or ``variant`` (one), ``t``; ``heldout``: ``id, t``.  All models are columns of the same rows: pairs of tokens are
+    counted, and looked up, once for all of ``variants``, and what does not depend on the place of a token is computed once per different pair.
     """
-    toks = train.select("variant", "t").filter(F.size("t") > 0)
-    counts = toks.select("variant", F.explode("t").alias("tok")).groupBy("variant", "tok").agg(F.count(F.lit(1)).alias("n"))
-    sizes = counts.groupBy("variant").agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("v"))
+    if "variants" not in train.columns:
+        train = train.select(F.array("variant").alias("variants"), "t")
+    of = range(len(variants))
+    each = lambda make: [make(i) for i in of]
     step = F.explode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.col("t")).alias("prev"), F.col("t").alias("tok"))).alias("p")
-    big = toks.select("variant", step).filter("p.tok is not null").groupBy("variant", "p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n"))
-    heads = big.groupBy("variant", "prev").agg(F.sum("n").alias("c"))
-    follow = big.join(heads, ["variant", "prev"]).select("variant", "prev", "tok", (F.col("n") / F.col("c")).alias("p_big"))
-    every = F.explode(F.array(*(F.lit(v) for v in variants))).alias("variant")
-    rows = heldout.select("id", F.posexplode("t").alias("g", "raw")).select("*", every)
-    known = rows.join(counts.join(sizes, "variant").select("variant", F.col("tok").alias("raw"), "tok", (F.col("n") / F.col("total")).alias("p_uni")), ["variant", "raw"], "left")
-    known = known.select("variant", "id", "g", F.coalesce("tok", F.lit(UNKNOWN)).alias("w"), F.coalesce("p_uni", F.lit(0.0)).alias("p_uni"))
-    text = Window.partitionBy("variant", "id").orderBy("g")
-    again = Window.partitionBy("variant", "id", "w").orderBy("g")
-    known = known.select("*", F.coalesce(F.lag("w").over(text), F.lit(START)).alias("p"), (F.row_number().over(again) - 1).alias("seen"))
-    looked = known.join(follow.select("variant", F.col("prev").alias("p"), F.col("tok").alias("w"), "p_big"), ["variant", "p", "w"], "left")
-    looked = looked.join(heads.select("variant", F.col("prev").alias("p"), F.lit(True).alias("is_context")), ["variant", "p"], "left").join(sizes.select("variant", "v"), "variant")
-    chance = F.when(F.col("is_context"), F.coalesce("p_big", F.lit(0.0))).otherwise(F.col("p_uni"))
-    share = F.when(F.col("g") > 0, HISTORY * F.col("seen") / F.col("g")).otherwise(HISTORY * F.col("p_uni"))
-    ppl = looked.groupBy("variant").agg(F.exp(-F.avg(F.log(BIGRAM * chance + UNIGRAM * F.col("p_uni") + UNIFORM / (F.col("v") + 1) + share))).alias("heldout_ppl"))
-    guess = follow.groupBy("variant", "prev").agg(F.min(F.struct((-F.round("p_big", 9)).alias("p"), "tok"))["tok"].alias("guess"))
-    pairs = heldout.select(step).select("p.prev", "p.tok").filter("tok is not null").select("*", every)
-    hits = pairs.join(guess, ["variant", "prev"], "left").groupBy("variant").agg(F.avg((F.coalesce("guess", F.lit("")) == F.col("tok")).cast("int")).alias("greedy_accuracy"))
-    return ppl.join(hits, "variant")
+    marked = train.filter(F.size("t") > 0).select(*(F.array_contains("variants", v).cast("long").alias(f"m{i}") for i, v in enumerate(variants)), step)
+    big = stage(marked.filter("p.tok is not null").groupBy("p.prev", "p.tok").agg(*each(lambda i: F.sum(f"m{i}").alias(f"b{i}"))), "bigrams")
+    heads = stage(big.groupBy("prev").agg(*each(lambda i: F.sum(f"b{i}").alias(f"h{i}"))), "heads")
+    words = stage(big.groupBy("tok").agg(*each(lambda i: F.sum(f"b{i}").alias(f"n{i}"))), "words")
+    size = words.agg(*each(lambda i: F.sum(f"n{i}").alias(f"t{i}")), *each(lambda i: F.count_if(F.col(f"n{i}") > 0).alias(f"v{i}"))).first()
+    best = lambda i: F.min(F.when(F.col(f"b{i}") > 0, F.struct((-F.round(F.col(f"b{i}") / F.col(f"h{i}"), 9)).alias("p"), "tok")))["tok"].alias(f"g{i}")
+    guess = big.join(heads, "prev").groupBy("prev").agg(*each(best))
+    # Different held-out pairs with what the models make of them; a word that a model has not seen is unknown to it, as word and as predecessor.
+    seen_pairs = heldout.select(step).select("p.prev", "p.tok").filter("tok is not null").groupBy("prev", "tok").agg(F.count(F.lit(1)).alias("c"))
+    looked = seen_pairs.join(big, ["prev", "tok"], "left").join(words, "tok", "left").join(heads.join(guess, "prev"), "prev", "left")
+
+    def fixed(i: int) -> Column:
+        p_uni = F.coalesce(F.col(f"n{i}"), F.lit(0)) / F.lit(max(1, size[f"t{i}"] or 0))
+        chance = F.when(F.col(f"h{i}") > 0, F.coalesce(F.col(f"b{i}"), F.lit(0)) / F.col(f"h{i}")).otherwise(p_uni)
+        return BIGRAM * chance + UNIGRAM * p_uni + UNIFORM / F.lit((size[f"v{i}"] or 0) + 1) + F.when(F.col("prev") == START, HISTORY * p_uni).otherwise(0.0)
+
+    table = stage(looked.select("prev", "tok", "c", *each(lambda i: fixed(i).alias(f"x{i}")), *each(lambda i: (F.coalesce(F.col(f"n{i}"), F.lit(0)) == 0).alias(f"u{i}")), *each(lambda i: (F.coalesce(f"g{i}", F.lit("")) == F.col("tok")).alias(f"hit{i}"))), "looked")
+    hits = table.agg(*each(lambda i: (F.sum(F.when(F.col(f"hit{i}"), F.col("c")).otherwise(0)) / F.sum("c")).alias(f"a{i}")))
+    # Texts are dealt before they are spread, so that places among equal words need no other shuffle.
+    dealt = heldout.repartition("id").select("id", F.posexplode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.slice("t", F.lit(1), F.greatest(F.size("t") - 1, F.lit(0)))).alias("prev"), F.col("t").alias("tok"))).alias("g", "p"))
+    dealt = dealt.filter("p.tok is not null").select("id", "g", "p.prev", "p.tok")
+    again = dealt.select("*", (F.row_number().over(Window.partitionBy("id", "tok").orderBy("g")) - 1).alias("seen"))
+    rows = again.join(table.drop("c", *each(lambda i: f"hit{i}")), ["prev", "tok"])
+    log = lambda i, count: F.log(F.col(f"x{i}") + F.when(F.col("g") > 0, HISTORY * count / F.col("g")).otherwise(0.0))
+    known = rows.agg(F.count(F.lit(1)).alias("n"), *each(lambda i: F.sum(F.when(~F.col(f"u{i}"), log(i, F.col("seen")))).alias(f"k{i}")))
+    # Words unknown to a model are one word to it; only rows with such a word are put in order anew.
+    text = Window.partitionBy("id").orderBy("g")
+    some = rows.filter(reduce(Column.__or__, each(lambda i: F.col(f"u{i}")))).select("g", *each(lambda i: f"x{i}"), *each(lambda i: f"u{i}"), *each(lambda i: (F.sum(F.col(f"u{i}").cast("long")).over(text) - 1).alias(f"s{i}")))
+    unknown = some.agg(*each(lambda i: F.sum(F.when(F.col(f"u{i}"), log(i, F.col(f"s{i}")))).alias(f"w{i}")))
+    total = lambda i: F.coalesce(f"k{i}", F.lit(0.0)) + F.coalesce(f"w{i}", F.lit(0.0))
+    made = [F.struct(F.lit(v).alias("variant"), F.exp(-total(i) / F.col("n")).alias("heldout_ppl"), F.col(f"a{i}").alias("greedy_accuracy")) for i, v in enumerate(variants) if size[f"t{i}"]]
+    one = known.join(unknown).join(hits)  # one row each
+    if not made:
+        return one.filter("false").select(F.lit("").alias("variant"), F.lit(0.0).alias("heldout_ppl"), F.lit(0.0).alias("greedy_accuracy"))
+    return one.filter("n > 0").select(F.inline(F.array(*made)))

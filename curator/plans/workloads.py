@@ -50,9 +50,10 @@ def evaluated(train: DataFrame, members: DataFrame, held: DataFrame, data: str,
 
     ``base``: samples of the other data set, of which a model that was not tuned is made (``none:0``).
     """
-    toks = _as_model(train, model).join(members.select(F.col("sample_id").alias("id"), "variant"), "id").select("variant", "t")
+    own = members.groupBy(F.col("sample_id").alias("id")).agg(F.collect_set("variant").alias("variants"))
+    toks = _as_model(train, model).join(own, "id").select("variants", "t")
     if base is not None:
-        toks, variants = toks.unionByName(_as_model(base, model).select(F.lit("none:0").alias("variant"), "t")), [*variants, "none:0"]
+        toks, variants = toks.unionByName(_as_model(base, model).select(F.array(F.lit("none:0")).alias("variants"), "t")), [*variants, "none:0"]
     rows = evaluate.heldout_by_variant(toks, _as_model(held, model), variants)
     label = F.split("variant", ":")
     values = F.explode(F.array(*(F.struct(F.lit(m).alias("metric"), F.col(m).alias("value")) for m in ("heldout_ppl", "greedy_accuracy")))).alias("m")

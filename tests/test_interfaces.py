@@ -150,3 +150,23 @@ def test_stream_joins_a_table(spark, tmp_path):
     users = spark.createDataFrame([(1, "a"), (2, "b")], "user_id long, name string")
     stream = spark.readStream.schema("user_id long, event_id long").parquet(f"{tmp_path}/events")
     assert sorted(map(tuple, flows.drain(flows.with_reference(stream, users), "append").fillna("-").collect())) == [(1, 10, "a"), (2, 20, "b"), (9, 90, "-")]
+
+
+def test_models_side_by_side_share_their_rows(spark):
+    """A text of several models is read once, and the measures are those of each model alone, with unknown words and an empty model."""
+    texts = [(["a", "b"], "x y z x y".split()), (["a"], "z z y q".split()), (["b"], "y x q q z".split()), (["a", "b"], [])]
+    train = spark.createDataFrame(texts, "variants array<string>, t array<string>")
+    held = spark.createDataFrame([(1, "x y new z other z new x".split()), (2, "q q odd x".split()), (3, [])], "id long, t array<string>")
+    made, stage = {}, evaluate.stage
+    evaluate.stage = lambda df, name: made.setdefault(name, stage(df, name))
+    try:
+        got = {r.variant: (r.heldout_ppl, r.greedy_accuracy) for r in evaluate.heldout_by_variant(train, held, ["a", "b", "none"]).collect()}
+    finally:
+        evaluate.stage = stage
+    assert set(got) == {"a", "b"}
+    for name, values in got.items():
+        own = spark.createDataFrame([(t,) for v, t in texts if name in v], "t array<string>")
+        assert values == pytest.approx(tuple(x.first().value for x in evaluate.heldout_quality(own, held)), abs=1e-9)
+    pairs = {p for _, t in texts for p in zip(["<s>", *t], t, strict=False)}
+    assert made["bigrams"].count() == len(pairs)  # one row per pair, however many models count it
+    assert checkpoints.CLEANUP.endswith("fileCleanup.enabled") and spark.conf.get(checkpoints.CLEANUP, "false") == "false"
