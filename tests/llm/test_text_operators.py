@@ -424,6 +424,23 @@ def test_no_link_of_a_large_bucket_is_lost(spark):
     assert len(set(keep.values())) >= len(lines) - len(want)
 
 
+def test_exact_pairs_of_a_bucket_grow_with_similar_pairs(spark, monkeypatch):
+    """Of 300 lines of one bucket every similar pair is kept, across blocks too, and hardly any other is left to be compared in full."""
+    rng = random.Random(17)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(7))
+    passage, lines = [word() for _ in range(30)], []
+    for _ in range(150):
+        tail = [word() for _ in range(25)]
+        lines += [" ".join(passage + tail), " ".join(passage + tail[:-3] + [word() for _ in range(3)])]
+    texts = spark.createDataFrame([(i * 7919, x) for i, x in enumerate(lines)], "id long, line string")
+    bucket = texts.select(F.lit(1).cast("long").alias("key"), "id", F.col("id").alias("comp"), F.lit(len(lines)).cast("long").alias("lines"))
+    want = {(i * 7919, j * 7919) for i in range(len(lines)) for j in range(i) if _jaccard(lines[i], lines[j]) >= 0.8}
+    for block in (1000, 70):
+        monkeypatch.setattr(line_dedup, "BLOCK", block)
+        got = [(r.u, r.v) for r in line_dedup._exact_pairs(bucket, texts).collect()]
+        assert len(set(got)) == len(got) and want <= set(got) and len(want) >= 140 and len(got) < len(want) + 50
+
+
 def _meeting_share(spark, pairs):
     """The share of pairs of lines that have a band in common."""
     met = spark.createDataFrame(pairs, "a string, b string").repartition(4)
