@@ -9,28 +9,29 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from curator.functions.expr import tokens
+from curator.sources.checkpoints import stage, unstage
 
 #: Weights of the bigram, unigram, uniform and history parts.
 BIGRAM, UNIGRAM, UNIFORM, HISTORY = 0.4, 0.2, 0.1, 0.3
 START, UNKNOWN = "<s>", "<unk>"
+#: Samples are scored in so many slices at most, one after the other, of so many tokens at least; this decides about disk and time only.
+SLICES, SLICE_TOKENS = 8, 4_000_000
 
 
 @dataclass
 class NGramScorer:
-    """One model of a corpus: token shares, follower shares and the size of the vocabulary.
+    """One model of a corpus: token shares, follower shares and the size of the vocabulary; its tables are stored in the shared folder."""
 
-    The two count tables are persisted, as every look-up table derives from them; ``spark.catalog.clearCache()`` releases them.
-    """
-
-    vocab: DataFrame  # tok, p_uni
+    vocab: DataFrame  # tok, n, p_uni, is_context, p_start
     follow: DataFrame  # prev, tok, p_big
-    contexts: DataFrame  # prev
     size: int
+    total: int  # tokens of the corpus
 
     @classmethod
     def fit(cls, corpus: DataFrame, text_col: str = "text", min_count: int = 1, mode: str = "word") -> NGramScorer:
@@ -40,39 +41,49 @@ class NGramScorer:
     @classmethod
     def of_arrays(cls, toks: DataFrame, min_count: int = 1) -> NGramScorer:
         toks = toks.select("t").filter(F.size("t") > 0)
-        counts = toks.select(F.explode("t").alias("tok")).groupBy("tok").agg(F.count(F.lit(1)).alias("n")).persist()
-        total = counts.agg(F.sum("n").alias("n"), F.count_if(F.col("n") >= min_count).alias("v")).first()
-        vocab = counts.filter(F.col("n") >= min_count).select("tok", (F.col("n") / F.lit(max(1, total.n or 0))).alias("p_uni"))
         # Followers come from within the row, so no window over documents is needed.
         pairs = toks.select(F.explode(F.arrays_zip(F.concat(F.array(F.lit(START)), F.col("t")).alias("prev"), F.col("t").alias("tok"))).alias("p"))
-        big = pairs.filter("p.tok is not null").groupBy("p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n")).persist()
-        heads = big.groupBy("prev").agg(F.sum("n").alias("c"))
-        follow = big.join(heads, "prev").select("prev", "tok", (F.col("n") / F.col("c")).alias("p_big"))
-        return cls(vocab, follow, heads.select("prev"), total.v or 0)
+        big = stage(pairs.filter("p.tok is not null").groupBy("p.prev", "p.tok").agg(F.count(F.lit(1)).alias("n")), "bigrams")
+        heads = stage(big.groupBy("prev").agg(F.sum("n").alias("c")), "heads")
+        follow = stage(big.join(heads, "prev").select("prev", "tok", (F.col("n") / F.col("c")).alias("p_big")), "followers")
+        # Every token follows one other or the start of its text, so followers count tokens too.
+        counts = stage(big.groupBy("tok").agg(F.sum("n").alias("n")), "counts")
+        unstage(big)
+        total = counts.agg(F.sum("n").alias("n"), F.count_if(F.col("n") >= min_count).alias("v")).first()
+        known = counts.filter(F.col("n") >= min_count).select("tok", "n", (F.col("n") / F.lit(max(1, total.n or 0))).alias("p_uni"))
+        contexts = heads.select(F.col("prev").alias("tok"), F.lit(True).alias("is_context"))
+        starts = follow.filter(F.col("prev") == START).select("tok", F.col("p_big").alias("p_start"))
+        vocab = known.join(contexts, "tok", "left").join(starts, "tok", "left")
+        return cls(stage(vocab.select("tok", "n", "p_uni", F.coalesce("is_context", F.lit(False)).alias("is_context"), F.coalesce("p_start", F.lit(0.0)).alias("p_start")), "vocabulary"), follow, total.v or 0, total.n or 0)
 
     def score(self, pairs: DataFrame) -> DataFrame:
-        """``sample_id, pos, lp_with, lp_without`` of token pairs; ``pos`` counts response tokens from 1."""
-        both = pairs.select(
-            "sample_id", F.size("instr").alias("n_instr"), F.posexplode(F.concat("instr", "resp")).alias("g", "raw")
+        """``sample_id, pos, lp_with, lp_without`` of token pairs; ``pos`` counts response tokens from 1.
+
+        Rows of tokens are shuffled three times: by token, by sample and by pair of tokens.
+        """
+        # Predecessors that are unknown words, or the start of a sample, are looked up as such.
+        odd = {r.tok: r for r in self.vocab.filter(F.col("tok").isin(UNKNOWN, START)).collect()}
+        unknown_context, unknown_start = (odd[UNKNOWN].is_context, odd[UNKNOWN].p_start) if UNKNOWN in odd else (False, 0.0)
+        both = pairs.select("sample_id", F.size("instr").alias("n_instr"), F.posexplode(F.concat("instr", "resp")).alias("g", "raw"))
+        known = both.join(self.vocab, both["raw"] == self.vocab["tok"], "left").select(
+            "sample_id", "g", "n_instr", F.coalesce("tok", F.lit(UNKNOWN)).alias("w"), F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("is_context", F.lit(unknown_context)).alias("is_context"),
+            # Only the first token of a response has another predecessor without the instruction.
+            F.when(F.col("g") == F.col("n_instr"), F.coalesce("p_start", F.lit(unknown_start))).alias("p_start"),
         )
-        known = both.join(self.vocab, both["raw"] == self.vocab["tok"], "left")
-        known = known.select("sample_id", "g", (F.col("g") >= F.col("n_instr")).alias("out"), (F.col("g") - F.col("n_instr")).alias("k"), F.coalesce("tok", F.lit(UNKNOWN)).alias("w"), F.coalesce("p_uni", F.lit(0.0)).alias("p_uni"))
+        out = F.col("g") >= F.col("n_instr")
         sample = Window.partitionBy("sample_id").orderBy("g")
-        word, word_out = Window.partitionBy("sample_id", "w").orderBy("g"), Window.partitionBy("sample_id", "out", "w").orderBy("g")
-        rows = known.select(
+        word, word_out = Window.partitionBy("sample_id", "w").orderBy("g"), Window.partitionBy("sample_id", "w", "out").orderBy("g")
+        # Dealt by sample, so that no window needs a shuffle of its own.
+        rows = known.repartition("sample_id").withColumn("out", out).select(
             "*",
             F.coalesce(F.lag("w").over(sample), F.lit(START)).alias("p"),
+            F.coalesce(F.lag("is_context").over(sample), F.lit(self.total > 0)).alias("follows"),
             (F.row_number().over(word) - 1).alias("seen"),
             (F.row_number().over(word_out) - 1).alias("seen_out"),
-        ).filter("out")
-        # A first token has another predecessor without the instruction; other rows get a key that meets nothing and is spread.
-        rows = rows.withColumn("first", F.when(F.col("k") == 0, F.col("w")).otherwise(F.concat(F.lit("\x00"), F.col("sample_id"), F.lit("\x00"), F.col("k"))))
+        ).filter("out").drop("out", "is_context")
         big = self.follow.select(F.col("prev").alias("p"), F.col("tok").alias("w"), "p_big")
-        seen = self.contexts.select(F.col("prev").alias("p"), F.lit(True).alias("is_context"))
-        starts = self.follow.filter(F.col("prev") == START).select(F.col("tok").alias("first"), F.col("p_big").alias("p_start"))
-        rows = rows.join(big, ["p", "w"], "left").join(seen, "p", "left").join(starts, "first", "left")
-        follow = F.when(F.col("is_context"), F.coalesce("p_big", F.lit(0.0))).otherwise(F.col("p_uni"))
-        begin = F.coalesce("p_start", F.lit(0.0))
+        rows = rows.join(big, ["p", "w"], "left").withColumns({"p_uni": F.col("n") / F.lit(max(1, self.total)), "k": F.col("g") - F.col("n_instr")})
+        follow = F.when(F.col("follows"), F.coalesce("p_big", F.lit(0.0))).otherwise(F.col("p_uni"))
 
         def log_p(follows, count, length):
             share = F.when(length > 0, HISTORY * count / length).otherwise(HISTORY * F.col("p_uni"))
@@ -82,7 +93,7 @@ class NGramScorer:
             "sample_id",
             (F.col("k") + 1).cast("int").alias("pos"),
             log_p(follow, F.col("seen"), F.col("g")).alias("lp_with"),
-            log_p(F.when(F.col("k") == 0, begin).otherwise(follow), F.col("seen_out"), F.col("k")).alias("lp_without"),
+            log_p(F.when(F.col("k") == 0, F.col("p_start")).otherwise(follow), F.col("seen_out"), F.col("k")).alias("lp_without"),
         )
 
 
@@ -121,5 +132,14 @@ def difficulty(token_lp: DataFrame, max_context: int | None = None, lengths: Dat
     )
 
 
+def difficulty_in_slices(scorer, pairs: DataFrame) -> DataFrame:
+    """``difficulty`` of all ``pairs``, stored; only one slice of the samples has its rows of tokens on disk at a time."""
+    n_tokens = pairs.agg(F.sum(F.size("instr").cast("long") + F.size("resp"))).first()[0] or 0
+    n = max(1, min(SLICES, -(-n_tokens // SLICE_TOKENS)))
+    # Another seed than the shuffle's, so that a slice is dealt to all partitions.
+    slices = [pairs.filter(F.pmod(F.xxhash64(F.lit("slice"), F.col("sample_id")), F.lit(n)) == i) if n > 1 else pairs for i in range(n)]
+    return reduce(DataFrame.unionByName, [stage(difficulty(scorer.score(x)), "difficulty") for x in slices])
+
+
 def difficulty_profile(scores: DataFrame, by: str = "cluster_id") -> DataFrame:
     return scores.groupBy(by).agg(F.count(F.lit(1)).alias("n"), F.avg("ifd").alias("mean_ifd"), F.coalesce(F.stddev_samp("ifd"), F.lit(0.0)).alias("sd_ifd"), F.percentile("ifd", F.lit(0.5)).alias("median_ifd"))

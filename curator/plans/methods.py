@@ -42,7 +42,9 @@ def logprobs(spark: SparkSession, d: str, data: str = "pairs", mode: str = "word
 
 
 def scores(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:
-    return scoring.difficulty(logprobs(spark, d, data))
+    samples_ = pairs(spark, d, data)
+    # Documents are cut into tokens slice by slice; turns would be put in order anew for every slice.
+    return scoring.difficulty_in_slices(scoring.NGramScorer.fit(read_table(spark, d, "documents")), samples_ if data == "documents" else stage(samples_, "samples"))
 
 
 def vectors(spark: SparkSession, d: str, data: str = "pairs", weight: str = "count", column: str = "instr") -> DataFrame:

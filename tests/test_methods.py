@@ -279,3 +279,16 @@ def test_padding_comparison_keeps_long_samples(spark, monkeypatch):
     # Descending: 700 alone, 512 alone, then 300 + 200 and 100.
     assert cells["first_fit_desc"] == cells["best_fit_desc"] == cells["next_fit_desc"] == 4 * 700 and cells["next_fit_asc"] == 4 * 700
     assert all((r.long_samples, r.long_tokens) == ((0.2, round(700 / 1812, 6)) if c == 512 else (0, 0)) for (c, _), r in got.items())
+
+
+def test_difficulty_in_slices_is_that_of_all_samples(spark, monkeypatch):
+    """Slices cover every sample once with the same scores, unknown words and unknown predecessors included."""
+    toks = spark.createDataFrame([(["a", "b", "<unk>", "a"],), (["b", "a", "c"],), (["<unk>", "b"],)], "t array<string>")
+    rows = [(i, ["a", "zz"][: i % 3], [["b", "a", "b", "yy"], ["yy", "yy", "a"], ["<unk>", "c"]][i % 3]) for i in range(40)]
+    made = spark.createDataFrame(rows, "sample_id long, instr array<string>, resp array<string>")
+    model = scoring.NGramScorer.of_arrays(toks)
+    whole = {r.sample_id: tuple(r) for r in scoring.difficulty(model.score(made)).collect()}
+    monkeypatch.setattr(scoring, "SLICE_TOKENS", 20)
+    out = scoring.difficulty_in_slices(model, made)
+    got = [tuple(r) for r in out.collect()]
+    assert len(got) == len(whole) == 40 and len(out.inputFiles()) > 4 and all(r == pytest.approx(whole[r[0]]) for r in got)
