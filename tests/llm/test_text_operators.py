@@ -471,6 +471,17 @@ def test_line_pairs_near_the_threshold_meet(spark, sf):
     assert _meeting_share(spark, pairs) >= 0.98
 
 
+def test_unlike_lines_seldom_meet(spark):
+    """Lines of one passage and words of their own, of similarity 0.3: what shares a band by chance grows with the square of the lines."""
+    rng, pairs = random.Random(21), []
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(7))
+    for _ in range(3000):
+        passage = [word() for _ in range(12)]
+        pairs.append(tuple(" ".join(passage + [word() for _ in range(13)]) for _ in range(2)))
+    assert all(0.25 <= _jaccard(a, b) <= 0.35 for a, b in pairs)
+    assert _meeting_share(spark, pairs) <= 0.022
+
+
 def test_line_pairs_across_a_word_count_meet(spark, sf):
     long_words = lambda x: re.findall(r"(?<!\S)\S{5,}", x)
     pairs = [(x, x.replace(long_words(x)[k] + " ", "", 1)) for x in _sf_lines(spark, sf) if len(long_words(x)) == 10 for k in range(10)]
