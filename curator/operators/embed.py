@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from curator.functions.expr import norm
+from curator.sources.checkpoints import stage
 
 
 def hashed_vectors(pairs: DataFrame, dim: int = 64, seed: int = 42, weight: str = "count", column: str = "instr") -> DataFrame:
@@ -18,6 +19,7 @@ def hashed_vectors(pairs: DataFrame, dim: int = 64, seed: int = 42, weight: str
     """
     if column == "both":
         pairs = pairs.withColumn("both", F.concat("instr", "resp"))
+    pairs = stage(pairs.select("sample_id", column), "instructions")  # read twice, cut into tokens once
     toks = pairs.select("sample_id", F.explode(column).alias("tok"))
     if weight == "tfidf":
         df = toks.distinct().groupBy("tok").agg(F.count(F.lit(1)).alias("df"))

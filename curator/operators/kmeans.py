@@ -5,6 +5,7 @@ Centroids travel to the tasks as literals (k times d doubles) and come back as k
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,11 +40,76 @@ def assign(vectors: DataFrame, centroids: Centroids) -> DataFrame:
     """``sample_id, cluster_id, dist, v``: the nearest centroid, of equals the first."""
     if not centroids:
         return vectors.select("sample_id", F.lit(0).alias("cluster_id"), F.lit(0.0).alias("dist"), "v")
+    if _regular(vectors, centroids):
+        kinds = dict(vectors.dtypes)
+        return vectors.select("sample_id", "v").mapInArrow(_assign_batches(centroids), f"sample_id {kinds['sample_id']}, cluster_id int, dist double, v array<double>")
     # The generator makes Spark evaluate the distances once.
     near = vectors.select("sample_id", "v", F.explode(F.array(nearest(F.col("v"), centroids))).alias("ds"))
     return near.select("sample_id", (F.array_position("ds", F.array_min("ds")) - 1).cast("int").alias("cluster_id"), F.sqrt(F.array_min("ds")).alias("dist"), "v")
 
 
+def _regular(vectors: DataFrame, centroids: Centroids) -> bool:
+    """Whether distances can be computed by batches; a centroid of another size, or with a null, has none."""
+    return dict(vectors.dtypes)["v"] == "array<double>" and len({len(c) for c in centroids}) == 1 and len(centroids[0]) > 0 and not any(x is None for c in centroids for x in c)
+
+
+def _distances(v, centroids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of an Arrow array of vectors: which have a distance, these as rows, their nearest centroids, and the squared distances to them."""
+    dim = centroids.shape[1]
+    good = np.nan_to_num(v.value_lengths().to_numpy(zero_copy_only=False), nan=-1) == dim
+    if v.flatten().null_count:
+        good &= np.array([x is not None and None not in x for x in v.to_pylist()], bool)
+    rows = v.filter(good).flatten().to_numpy(zero_copy_only=False).reshape(-1, dim)
+    across, total = np.ascontiguousarray(rows.T), np.zeros((len(centroids), len(rows)))
+    # In the order of the dimensions, so that equal distances are equal to the last bit.
+    for j in range(dim):
+        gap = across[j] - centroids[:, j, None]
+        total += gap * gap
+    odd = np.isnan(total)
+    nearest_ = np.where(odd, np.inf, total).argmin(axis=0)
+    for i in np.flatnonzero(odd.any(axis=0)):
+        nearest_[i] = min(range(len(centroids)), key=lambda c, i=i: (odd[c, i], total[c, i]))
+    return good, rows, nearest_, total[nearest_, np.arange(len(rows))]
+
+
+def _assign_batches(centroids: Centroids):
+    def run(batches):
+        import pyarrow as pa
+
+        table = np.array(centroids, float)
+        for batch in batches:
+            v = batch.column("v")
+            good, _, near, d = _distances(v, table)
+            cluster, dist = np.zeros(len(v), np.int32), np.zeros(len(v))
+            cluster[good], dist[good] = near, np.sqrt(d)
+            yield pa.RecordBatch.from_arrays([batch.column("sample_id"), pa.array(cluster, mask=~good), pa.array(dist, mask=~good), v], names=["sample_id", "cluster_id", "dist", "v"])
+
+    return run
+
+
+def _sum_batches(centroids: Centroids):
+    """``cluster_id, n, s``: the number and the sum of a batch's vectors in every cluster; those without a distance have no cluster."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        table = np.array(centroids, float)
+        for batch in batches:
+            _, rows, near, _ = _distances(batch.column("v"), table)
+            used = np.unique(near)
+            sums = [rows[near == c].sum(axis=0).tolist() for c in used]
+            yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(np.bincount(near, minlength=len(table))[used].astype(np.int64)), pa.array(sums, pa.list_(pa.float64()))], names=["cluster_id", "n", "s"])
+
+    return run
+
+
+def _batch_means(vectors: DataFrame, centroids: Centroids) -> dict[int, list[float]]:
+    """``_means`` of what ``assign`` makes, added up in batches; one row per cluster comes to the driver."""
+    parts = vectors.select("v").mapInArrow(_sum_batches(centroids), "cluster_id int, n long, s array<double>")
+    rows = parts.groupBy("cluster_id").agg(F.sum("n").alias("n"), F.array(*(F.sum(F.get("s", F.lit(i))) for i in range(len(centroids[0])))).alias("m")).collect()
+    return {r.cluster_id: [x / r.n for x in r.m] for r in rows}
+
+
 def _means(assigned: DataFrame, update: str, dim: int) -> dict[int, list[float]]:
     """The mean vector of every cluster that has a member; one row per cluster comes to the driver."""
     if update == "summarizer":
@@ -68,8 +134,13 @@ def fit(vectors: DataFrame, k: int = 10, iters: int = 10, init: str = "first", t
     vectors = vectors.persist()
     try:
         centroids = initial(vectors, k, init)
+        # Vectors of another size than the centroids' have a mean in each dimension that they have.
+        whole = not centroids or vectors.filter((F.size("v") != len(centroids[0])) | F.exists("v", lambda x: x.isNull()) | F.col("v").isNull()).isEmpty()
         for _ in range(iters):
-            means = _means(assign(vectors, centroids), update, max(map(len, centroids), default=0))
+            if update == "average" and centroids and whole and _regular(vectors, centroids):
+                means = _batch_means(vectors, centroids)
+            else:
+                means = _means(assign(vectors, centroids), update, max(map(len, centroids), default=0))
             after = [[x if m is None else m for x, m in zip(c, means.get(i, c), strict=False)] for i, c in enumerate(centroids)]
             if metric == "cosine":
                 after = [[x / size for x in c] if (size := sum(x * x for x in c) ** 0.5) else c for c in after]

@@ -41,10 +41,19 @@ def logprobs(spark: SparkSession, d: str, data: str = "pairs", mode: str = "word
     return scoring.NGramScorer.fit(read_table(spark, d, "documents")).score(pairs(spark, d, data))
 
 
-def scores(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:
+def corpus_model(spark: SparkSession, d: str) -> scoring.NGramScorer:
+    return scoring.NGramScorer.fit(read_table(spark, d, "documents"))
+
+
+def scores(spark: SparkSession, d: str, data: str = "pairs", model: scoring.NGramScorer | None = None) -> DataFrame:
+    """Stored scores by ``model``, or by one of the corpus that goes afterwards."""
     samples_ = pairs(spark, d, data)
+    own = model or corpus_model(spark, d)
     # Documents are cut into tokens slice by slice; turns would be put in order anew for every slice.
-    return scoring.difficulty_in_slices(scoring.NGramScorer.fit(read_table(spark, d, "documents")), samples_ if data == "documents" else stage(samples_, "samples"))
+    out = scoring.difficulty_in_slices(own, samples_ if data == "documents" else stage(samples_, "samples"))
+    if model is None:
+        own.let_go(model=True)
+    return out
 
 
 def vectors(spark: SparkSession, d: str, data: str = "pairs", weight: str = "count", column: str = "instr") -> DataFrame:
@@ -56,9 +65,9 @@ def clusters(spark: SparkSession, d: str, data: str = "pairs", k: int = K, init:
     return kmeans.assign(v, kmeans.fit(v, k, ITERS, init)).drop("v")
 
 
-def scored(spark: SparkSession, d: str, data: str = "pairs", k: int = K) -> DataFrame:
+def scored(spark: SparkSession, d: str, data: str = "pairs", k: int = K, model: scoring.NGramScorer | None = None) -> DataFrame:
     """``sample_id, ifd, cluster_id, dist``, stored: every selection and measure behind it reads one narrow table."""
-    return stage(scores(spark, d, data).select("sample_id", "ifd").join(clusters(spark, d, data, k), "sample_id"), "scored")
+    return stage(scores(spark, d, data, model).select("sample_id", "ifd").join(clusters(spark, d, data, k), "sample_id"), "scored")
 
 
 def lengths(spark: SparkSession, d: str, data: str = "pairs") -> DataFrame:

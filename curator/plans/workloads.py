@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from curator.operators import evaluate, kmeans, packing, select
+from curator.operators.scoring import NGramScorer
 from curator.plans import methods as m
 from curator.plans import oracles as o
 from curator.sources.checkpoints import stage
@@ -36,13 +37,10 @@ def heldout_split(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def _as_model(df: DataFrame, model: str) -> DataFrame:
-    """``id, t``: the tokens that a model sees; pairs of neighbouring characters for ``char``, so that two characters predict the third."""
-    both = F.concat("instr", "resp")
-    if model == "word":
-        return df.select(F.col("sample_id").alias("id"), both.alias("t"))
-    chars = df.select(F.col("sample_id").alias("id"), F.explode(F.array(F.filter(F.split(F.array_join(both, " "), ""), lambda c: c != ""))).alias("c"))
-    n = F.greatest(F.size("c") - 1, F.lit(0))
-    return chars.select("id", F.zip_with(F.slice("c", F.lit(1), n), F.slice("c", F.lit(2), n), lambda x, y: F.concat(x, y)).alias("t"))
+    """The tokens that a model sees, ``t``, beside the other columns; for ``char`` the text, so that two characters predict the third."""
+    # No token holds a blank.
+    t = F.col("text") if model == "char" else F.when(F.col("text") == "", F.array().cast("array<string>")).otherwise(F.split("text", " "))
+    return df.select(*(c for c in df.columns if c != "text"), t.alias("t"))
 
 
 def evaluated(train: DataFrame, members: DataFrame, held: DataFrame, data: str, model: str, variants: list[str], base: DataFrame | None = None) -> DataFrame:
@@ -51,19 +49,20 @@ def evaluated(train: DataFrame, members: DataFrame, held: DataFrame, data: str,
     ``base``: samples of the other data set, of which a model that was not tuned is made (``none:0``).
     """
     own = members.groupBy(F.col("sample_id").alias("id")).agg(F.collect_set("variant").alias("variants"))
-    toks = _as_model(train, model).join(own, "id").select("variants", "t")
+    # Texts are shuffled to their models, not arrays of tokens.
+    texts = train.select(F.col("sample_id").alias("id"), "text").join(own, "id").select("variants", "text")
     if base is not None:
-        toks, variants = toks.unionByName(_as_model(base, model).select(F.array(F.lit("none:0")).alias("variants"), "t")), [*variants, "none:0"]
-    rows = evaluate.heldout_by_variant(toks, _as_model(held, model), variants)
+        texts, variants = texts.unionByName(base.select(F.array(F.lit("none:0")).alias("variants"), "text")), [*variants, "none:0"]
+    rows = evaluate.heldout_by_variant(_as_model(texts, model), _as_model(held.select(F.col("sample_id").alias("id"), "text"), model), variants)
     label = F.split("variant", ":")
     values = F.explode(F.array(*(F.struct(F.lit(m).alias("metric"), F.col(m).alias("value")) for m in ("heldout_ppl", "greedy_accuracy")))).alias("m")
     return rows.select(F.lit(data).alias("dataset"), F.lit(model).alias("model"), label[0].alias("strategy"), label[1].cast("int").alias("rate_pct"), values).select("dataset", "model", "strategy", "rate_pct", "m.metric", "m.value")
 
 
-def _prepared(s: SparkSession, d: str, data: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Training and held-out samples, and the scores of the training samples."""
-    train, held = heldout_split(stage(m.pairs(s, d, data), "samples"))
-    return train, held, m.scored(s, d, data).join(train.select("sample_id"), "sample_id", "left_semi")
+def _prepared(s: SparkSession, d: str, data: str, model: NGramScorer | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Training and held-out samples (``sample_id, text``: the tokens with blanks between), and the scores of the training samples."""
+    train, held = heldout_split(stage(m.pairs(s, d, data).select("sample_id", F.array_join(F.concat("instr", "resp"), " ").alias("text")), "samples"))
+    return train, held, m.scored(s, d, data, model=model).join(train.select("sample_id"), "sample_id", "left_semi")
 
 
 def _rates(rows: DataFrame, rates: tuple[int, ...]) -> DataFrame:
@@ -73,7 +72,9 @@ def _rates(rows: DataFrame, rates: tuple[int, ...]) -> DataFrame:
 
 
 def _swept(s: SparkSession, d: str, rates: tuple[int, ...], untuned: bool) -> DataFrame:
-    ready = {data: _prepared(s, d, data) for data in ("pairs", "documents")}
+    scorer = m.corpus_model(s, d)
+    ready = {data: _prepared(s, d, data, scorer) for data in ("pairs", "documents")}
+    scorer.let_go(model=True)
     parts = []
     for data, (train, held, rows) in ready.items():
         members = _rates(rows, rates)
@@ -101,9 +102,9 @@ def main_results(s: SparkSession, d: str) -> DataFrame:
     return m.six(_swept(s, d, (40, 30), True))
 
 
-def _ablated(s: SparkSession, d: str, data: str, rate: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _ablated(s: SparkSession, d: str, data: str, rate: int, model: NGramScorer) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Measures of the four strategies, the scores, and ``sample_id, strategy`` of what they choose."""
-    train, held, rows = _prepared(s, d, data)
+    train, held, rows = _prepared(s, d, data, model)
     member = stage(union([v.select("sample_id", F.lit(k).alias("strategy")) for k, v in _strategies(rows, rate).items()]), "strategies")
     labelled = member.select("sample_id", F.concat("strategy", F.lit(f":{rate}")).alias("variant"))
     return stage(evaluated(train, labelled, held, data, "word", [f"{k}:{rate}" for k in STRATEGIES]), "measures"), rows, member
@@ -111,9 +112,9 @@ def _ablated(s: SparkSession, d: str, data: str, rate: int) -> tuple[DataFrame,
 
 def strategy_ablation(s: SparkSession, d: str) -> DataFrame:
     """Four strategies, pairs at 40 and documents at 30 percent: held-out measures, shift of the mix, difficulty."""
-    parts = []
+    parts, model = [], m.corpus_model(s, d)
     for data, rate in (("pairs", 40), ("documents", 30)):
-        measures, rows, member = _ablated(s, d, data, rate)
+        measures, rows, member = _ablated(s, d, data, rate, model)
         parts.append(measures)
         picked = member.join(rows, "sample_id")
         tags = [F.lit(data).alias("dataset"), F.lit("word").alias("model"), "strategy", F.lit(rate).alias("rate_pct")]
@@ -273,7 +274,8 @@ def _heldout(s: SparkSession, d: str, metric: str) -> DataFrame:
 
 def best_strategy(s: SparkSession, d: str) -> DataFrame:
     """The strategy of the lowest held-out perplexity within 40 percent on each data set."""
-    rows = union([_ablated(s, d, data, rate)[0] for data, rate in (("pairs", 40), ("documents", 30))]).filter("metric = 'heldout_ppl'")
+    model = m.corpus_model(s, d)
+    rows = union([_ablated(s, d, data, rate, model)[0] for data, rate in (("pairs", 40), ("documents", 30))]).filter("metric = 'heldout_ppl'")
     best = evaluate.best_strategy(m.six(rows).withColumn("value", -F.col("value")), 40)
     return best.select("dataset", "model", "strategy", (-F.col("value")).alias("heldout_ppl"))
 

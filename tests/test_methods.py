@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from curator.operators.ranks import ranked_in_ranges
-from curator.operators import embed, kmeans, packing, samples, scoring, select
+from curator.operators import blocks, embed, kmeans, packing, samples, scoring, select
 
 
 def test_three_token_example(spark):
@@ -292,3 +292,44 @@ def test_difficulty_in_slices_is_that_of_all_samples(spark, monkeypatch):
     out = scoring.difficulty_in_slices(model, made)
     got = [tuple(r) for r in out.collect()]
     assert len(got) == len(whole) == 40 and len(out.inputFiles()) > 4 and all(r == pytest.approx(whole[r[0]]) for r in got)
+
+
+def test_scores_of_chunks_are_those_of_token_rows(spark):
+    """Chunks of whole samples give the scores that joins of token rows give, with unknown words and without an instruction; no window puts token rows in order."""
+    toks = spark.createDataFrame([(["a", "b", "a", "c"],), (["b", "c", "d", "b", "a"],), ([],)], "t array<string>")
+    rows = [(i, ["a", "zz", "b"][: i % 4], [["b", "a", "b", "yy"], ["yy", "yy", "a"], ["d"]][i % 3]) for i in range(30)]
+    made = spark.createDataFrame(rows, "sample_id long, instr array<string>, resp array<string>").coalesce(1)
+    for least in (1, 2):
+        model = scoring.NGramScorer.of_arrays(toks, least)
+        got, want = ({(r.sample_id, r.pos): (r.lp_with, r.lp_without) for r in f(made).collect()} for f in (model.score, model._score_rows))
+        assert got.keys() == want.keys() and all(got[k] == pytest.approx(want[k], abs=1e-12) for k in got)
+    assert "Window" not in model.score(made)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_chunks_hold_whole_texts_and_all_of_them(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(blocks, "CHUNK", 5)
+    texts = [["a", "b"], ["c"], ["a"] * 7, [], ["b", "d"], ["e", "a"], ["f"]]
+    batches = [pa.RecordBatch.from_pydict({"id": list(range(i, i + len(t))), "aux": [0] * len(t), "t": t}, pa.schema({"id": pa.int64(), "aux": pa.int64(), "t": pa.list_(pa.string())})) for i, t in ((0, texts[:4]), (4, texts[4:]))]
+    made = list(blocks.text_chunks(batches))
+    assert len(made) > 2 and [i for m in made for i in m[0]] == list(range(7))
+    assert [w for m in made for w in m[5][m[3]]] == [w for t in texts for w in t] and [n for m in made for n in m[2]] == [len(t) for t in texts]
+
+
+def test_text_of_characters_has_pairs_of_neighbours():
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"id": [1, 2, 3, 4], "aux": [0, 0, 0, 0], "t": ["abca", "", "\U0001f600b", "x"]})
+    (_, _, lens, codes, words, _), = blocks.text_chunks([batch])
+    assert lens.tolist() == [3, 0, 1, 0] and [chr(w >> 21) + chr(w & 0x1FFFFF) for w in words[codes]] == ["ab", "bc", "ca", "\U0001f600b"]
+
+
+def test_kmeans_by_batches_is_that_of_rows(spark, monkeypatch):
+    v = spark.createDataFrame([(i, [float(i % 7), float(i * i % 5), 1.0]) for i in range(60)] + [(60, [1.0, None, 2.0]), (61, None)], "sample_id long, v array<double>")
+    some = [[0.0, 1.0, 1.0], [3.0, 3.0, 1.0], [3.0, 3.0, 1.0]]
+    got = sorted(map(tuple, kmeans.assign(v, some).drop("v").collect()))
+    whole = kmeans.fit(v.filter("sample_id < 60"), 4, 4)
+    monkeypatch.setattr(kmeans, "_regular", lambda *_: False)
+    assert got == sorted(map(tuple, kmeans.assign(v, some).drop("v").collect()))
+    assert whole == [pytest.approx(c) for c in kmeans.fit(v.filter("sample_id < 60"), 4, 4)]
