@@ -22,7 +22,7 @@ from curator.sources.checkpoints import stage, unstage
 #: Weights of the bigram, unigram, uniform and history parts.
 BIGRAM, UNIGRAM, UNIFORM, HISTORY = 0.4, 0.2, 0.1, 0.3
 #: Samples are scored in so many slices at most, one after the other, of so many tokens at least; this decides about disk and time only.
-SLICES, SLICE_TOKENS = 8, 60_000_000
+SLICES, SLICE_TOKENS = 8, 12_000_000
 
 
 class NGramScorer:

@@ -65,6 +65,14 @@ def _prepared(s: SparkSession, d: str, data: str, model: NGramScorer | None = No
     return train, held, m.scored(s, d, data, model=model).join(train.select("sample_id"), "sample_id", "left_semi")
 
 
+def _all_prepared(s: SparkSession, d: str) -> dict[str, tuple[DataFrame, DataFrame, DataFrame]]:
+    """``_prepared`` of both data sets with one model of the corpus, which goes before anything is evaluated."""
+    scorer = m.corpus_model(s, d)
+    ready = {data: _prepared(s, d, data, scorer) for data in ("pairs", "documents")}
+    scorer.let_go(model=True)
+    return ready
+
+
 def _rates(rows: DataFrame, rates: tuple[int, ...]) -> DataFrame:
     """``sample_id, variant``: all samples (``full:100``) and the hardest share of every cluster at each rate, from one ranking."""
     kept = _by_rate(select.rank_profile(rows), rates).select("sample_id", F.concat(F.lit("combined:"), F.col("rate_pct")).alias("variant"))
@@ -72,9 +80,7 @@ def _rates(rows: DataFrame, rates: tuple[int, ...]) -> DataFrame:
 
 
 def _swept(s: SparkSession, d: str, rates: tuple[int, ...], untuned: bool) -> DataFrame:
-    scorer = m.corpus_model(s, d)
-    ready = {data: _prepared(s, d, data, scorer) for data in ("pairs", "documents")}
-    scorer.let_go(model=True)
+    ready = _all_prepared(s, d)
     parts = []
     for data, (train, held, rows) in ready.items():
         members = _rates(rows, rates)
@@ -102,9 +108,9 @@ def main_results(s: SparkSession, d: str) -> DataFrame:
     return m.six(_swept(s, d, (40, 30), True))
 
 
-def _ablated(s: SparkSession, d: str, data: str, rate: int, model: NGramScorer) -> tuple[DataFrame, DataFrame, DataFrame]:
+def _ablated(ready: tuple[DataFrame, DataFrame, DataFrame], data: str, rate: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Measures of the four strategies, the scores, and ``sample_id, strategy`` of what they choose."""
-    train, held, rows = _prepared(s, d, data, model)
+    train, held, rows = ready
     member = stage(union([v.select("sample_id", F.lit(k).alias("strategy")) for k, v in _strategies(rows, rate).items()]), "strategies")
     labelled = member.select("sample_id", F.concat("strategy", F.lit(f":{rate}")).alias("variant"))
     return stage(evaluated(train, labelled, held, data, "word", [f"{k}:{rate}" for k in STRATEGIES]), "measures"), rows, member
@@ -112,9 +118,9 @@ def _ablated(s: SparkSession, d: str, data: str, rate: int, model: NGramScorer)
 
 def strategy_ablation(s: SparkSession, d: str) -> DataFrame:
     """Four strategies, pairs at 40 and documents at 30 percent: held-out measures, shift of the mix, difficulty."""
-    parts, model = [], m.corpus_model(s, d)
+    parts, ready = [], _all_prepared(s, d)
     for data, rate in (("pairs", 40), ("documents", 30)):
-        measures, rows, member = _ablated(s, d, data, rate, model)
+        measures, rows, member = _ablated(ready[data], data, rate)
         parts.append(measures)
         picked = member.join(rows, "sample_id")
         tags = [F.lit(data).alias("dataset"), F.lit("word").alias("model"), "strategy", F.lit(rate).alias("rate_pct")]
@@ -274,8 +280,8 @@ def _heldout(s: SparkSession, d: str, metric: str) -> DataFrame:
 
 def best_strategy(s: SparkSession, d: str) -> DataFrame:
     """The strategy of the lowest held-out perplexity within 40 percent on each data set."""
-    model = m.corpus_model(s, d)
-    rows = union([_ablated(s, d, data, rate, model)[0] for data, rate in (("pairs", 40), ("documents", 30))]).filter("metric = 'heldout_ppl'")
+    ready = _all_prepared(s, d)
+    rows = union([_ablated(ready[data], data, rate)[0] for data, rate in (("pairs", 40), ("documents", 30))]).filter("metric = 'heldout_ppl'")
     best = evaluate.best_strategy(m.six(rows).withColumn("value", -F.col("value")), 40)
     return best.select("dataset", "model", "strategy", (-F.col("value")).alias("heldout_ppl"))
 
